@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rulegraph.llm import language_id, line_dedup, mixing, packing, simhash
-from rulegraph.llm.common import cut
+from rulegraph.llm.common import cut, ship
 from rulegraph.llm.queries import TOKENIZER
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -20,6 +20,7 @@ MIN_SCORE = 0.05
 
 def keep_known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without a letter, or unlike every learned language, go."""
+    ship(spark)
     docs = docs.select(*COLUMNS)
     found = language_id.predict_language(docs, language_id.train_prototypes(docs))
     return found.where((F.col("lang_pred") != language_id.UNKNOWN) & (F.col("score") >= MIN_SCORE)).select(*COLUMNS)
@@ -27,22 +28,26 @@ def keep_known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines that occur earlier in the corpus go; documents of which no word is left go with them."""
+    ship(spark)
     left = line_dedup.dedup_lines(docs.select(*COLUMNS)).where(F.col("text").rlike("\\S"))
     return left.withColumn("n_chars", F.length("text").cast("bigint")).select(*COLUMNS)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates stays."""
+    ship(spark)
     return simhash.drop_near_duplicates(docs.select(*COLUMNS))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents are sampled towards the target weights of source, language and topic."""
+    ship(spark)
     return mixing.sample_mix(docs.select(*COLUMNS))
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every piece of every document gets its place in a sequence."""
+    ship(spark)
     return packing.pack(docs.select(*COLUMNS), tokenizer=TOKENIZER)
 
 

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+import zipfile
+from pathlib import Path
 
 import pyarrow as pa
 import pyarrow.compute  # noqa: F401
@@ -67,3 +69,17 @@ def chunks(batch: pa.RecordBatch, text_at: int, limit: int):
             start, size = i + 1, 0
     if start < batch.num_rows:
         yield batch.slice(start)
+
+
+def ship(spark: SparkSession) -> None:
+    """Send this package to the executors, once a context, so that their workers find it wherever they run."""
+    sc = spark.sparkContext
+    if getattr(sc, "_rulegraph_shipped", False):
+        return
+    root = Path(__file__).resolve().parents[2]
+    target = Path(tempfile.mkdtemp(prefix="ship-")) / "rulegraph_src.zip"
+    with zipfile.ZipFile(target, "w") as z:
+        for p in sorted((root / "rulegraph").rglob("*.py")):
+            z.write(p, p.relative_to(root).as_posix())
+    sc.addPyFile(str(target))
+    sc._rulegraph_shipped = True

@@ -8,13 +8,14 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rulegraph.llm import html_text, language_id, line_dedup, mixing, packing, quality, simhash
-from rulegraph.llm.common import crc_mod
+from rulegraph.llm import html_text, language_id, language_model, line_dedup, media, mixing, packing, quality, simhash, suffix_dedup
+from rulegraph.llm.common import crc_mod, ship
 
 TOKENIZER = public_tokenizers.path("word_bpe_49k.json")
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
@@ -31,6 +32,7 @@ def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship(spark)
     return html_text.extract_main_text(spark.read.parquet(f"{sf_dir}/pages.parquet"), keep=["page_id", "url"])
 
 
@@ -46,12 +48,25 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality_signals(_docs(spark, sf_dir).select("doc_id", "text")).drop("text", "clean_text")
 
 
+def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = suffix_dedup.remove_repeats(_docs(spark, sf_dir).select("doc_id", "text"), with_bytes=False)
+    return found.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+
+
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_docs(spark, sf_dir).select("doc_id", "text"), tokenizer=TOKENIZER)
 
 
+def op9_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_model.lm_scores(_docs(spark, sf_dir).select("doc_id", "text"), tokenizer=TOKENIZER, held_out=crc_mod("doc_id", 10) == 0)
+
+
+def op10_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media.media_columns(_docs(spark, sf_dir).select("doc_id", "text"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_language_id, op2_simhash_near_dedup, op3_html_extraction, op4_source_mixing, op5_line_dedup, op6_quality_rules, op8_packing)
+    f.__name__: f for f in (op1_language_id, op2_simhash_near_dedup, op3_html_extraction, op4_source_mixing, op5_line_dedup, op6_quality_rules, op7_suffix_dedup, op8_packing, op9_lm_scoring, op10_media_columns)
 }
 
 #: DuckDB SQL of those that SQL can express.
