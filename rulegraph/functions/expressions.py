@@ -115,6 +115,7 @@ _COLUMNS: dict[str, Callable[..., Column]] = {
     "dot": lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y), F.lit(0.0), lambda s, x: s + x),
     "integer": lambda a: a.try_cast("bigint"),
     "double": _num,
+    "withindays": lambda t, e, n: (e <= t) & (t <= e + F.make_dt_interval(days=n.cast("int"))),
     "days": lambda a, b: F.date_diff(a.cast("date"), b.cast("date")),
 }
 # two-column instr: position of b in a

@@ -13,13 +13,17 @@ from rulegraph.sources.graphs import Kind, MappedGraph, View
 
 PLACE = {"region": 1, "nation": 2, "customer": 3, "supplier": 4, "order": 5}
 PLACE_UNIT = 1 << 40
-WINDOW_DAYS = 14
+CONCEPT = {"code": 1, "group": 2, "chapter": 3}
 
 
 def place(kind: str, key: Column) -> Column:
     return key.cast("bigint") + F.lit(PLACE[kind] * PLACE_UNIT)
 
 
+def concept(kind: str, key: Column) -> Column:
+    return key.cast("bigint") + F.lit(CONCEPT[kind] * PLACE_UNIT)
+
+
 def iri(name: str) -> Kind:
     return Kind("iri", name)
 
@@ -79,6 +83,13 @@ def tables_graph(spark: SparkSession, sf_dir: str, chain: int = 32) -> MappedGra
         href = F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1)))
         return pair(t("pages").select("page_id", href.alias("href")), "page_id", "href", iri("page"), lit("string"))
 
+    def broader() -> View:
+        """Exposure codes below groups of ten, groups below chapters of five groups."""
+        k = t("events").select(F.get_json_object("props", "$.k").try_cast("bigint").alias("k")).where("k is not null").distinct()
+        g = k.select(F.floor(F.col("k") / 10).cast("bigint").alias("g")).distinct()
+        up = k.select(concept("code", F.col("k")).alias("s"), concept("group", F.floor(F.col("k") / 10)).alias("o"))
+        return View(up.unionByName(g.select(concept("group", F.col("g")).alias("s"), concept("chapter", F.floor(F.col("g") / 5)).alias("o"))), iri("concept"), iri("concept"), True)
+
     def typed(name: str, table: str, key: str, where: str | None = None):
         def make() -> View:
             df = t(table).where(where) if where else t(table)
@@ -101,9 +112,8 @@ def tables_graph(spark: SparkSession, sf_dir: str, chain: int = 32) -> MappedGra
         "ex:exposure": event("purchase", "k < 10"),
         "ex:pregnant": event("signup", "value > 150", "ts"),
         "ex:tested": event("click", "value > 170"),
-        "ex:exposureCode": lambda: pair(t("events").where("event_type = 'purchase' and value > 150"), "user_id", code, iri("user"), iri("code")),
-        "ex:inGroup": lambda: pair(t("events").select(code.alias("k")).where("k is not null").distinct(), "k", F.floor(F.col("k") / 10).cast("bigint"), iri("code"), iri("group"), distinct=False),
-        "ex:inChapter": lambda: pair(t("events").select(code.alias("k")).where("k is not null").select((F.floor(F.col("k") / 10)).cast("bigint").alias("g")).distinct(), "g", F.floor(F.col("g") / 5).cast("bigint"), iri("group"), iri("chapter"), distinct=False),
+        "ex:exposureConcept": lambda: pair(t("events").where("event_type = 'purchase' and value > 150"), "user_id", concept("code", code), iri("user"), iri("concept")),
+        "ex:broader": broader,
         "ex:coding": lambda: pair(t("events").where("event_type = 'purchase'").select("user_id", F.explode(F.array(F.struct(F.lit("k").alias("system"), code.alias("code"), F.col("ts").alias("at")))).alias("c")).where("c.code < 10"), "user_id", "c.at", iri("user"), lit("dateTime")),
         "ex:text": attribute("documents", "doc_id", "doc", "text", lit("string")),
         "ex:lang": attribute("documents", "doc_id", "doc", "lang", lit("string")),
