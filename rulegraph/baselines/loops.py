@@ -110,7 +110,7 @@ def persistent_recursive(graph: Graph, rules: list[Rule], reads: tuple[str, ...]
 
 def _escaped(p: str) -> str:
     """Folder name of a predicate's partition, as the writer escapes it."""
-    return "".join(f"%{ord(c):02X}" if c in ':<>"#%\'*/=?\\{}[]^' else c for c in f"<{p}>")
+    return "".join(f"%{ord(c):02X}" if c in ':"#%\'*/=?\\{[]^' else c for c in f"<{p}>")
 
 
 def datalog_sql(graph: Graph, query, name: str = "q"):

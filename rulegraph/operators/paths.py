@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rulegraph.plans import algebra as A
-from rulegraph.sources.graphs import Graph, View
+from rulegraph.sources.graphs import TERM, Graph, View, to_text
 from rulegraph.storage import cut, drop_cut, new_path, remove
 
 
@@ -87,13 +87,18 @@ def path_view(graph: Graph, p: A.Path, s: object = None, o: object = None) -> Vi
             df = df.unionByName(w.df.select("s", "o"))
         return View(df.distinct(), views[0].s, views[0].o)
     if p.op == "neg":
-        out: View | None = None
         no = {x.args[0].value for x in p.args if x.op == "link"}
-        for name in graph.predicates():
-            v = graph.view(name)
-            if name not in no and (out is None or v.s.meets(out.s) and v.o.meets(out.o)):
-                out = v if out is None else View(out.df.select("s", "o").unionByName(v.df.select("s", "o")), out.s, out.o)
-        return View(out.df.distinct(), out.s, out.o)
+        back = {x.args[0].args[0].value for x in p.args if x.op == "inv"}
+        views = [v for name in graph.predicates() if name not in no and (v := graph.view(name)) is not None]
+        if back:
+            views += [View(v.df.select(F.col("o").alias("s"), F.col("s").alias("o")), v.o, v.s) for name in graph.predicates() if name not in back and (v := graph.view(name)) is not None]
+        # ends of several kinds are only comparable as text
+        same = all(v.s == views[0].s and v.o == views[0].o for v in views)
+        out = None
+        for v in views:
+            df = v.df.select("s", "o") if same else v.df.select(to_text(F.col("s"), v.s).alias("s"), to_text(F.col("o"), v.o).alias("o"))
+            out = df if out is None else out.unionByName(df)
+        return View(out.distinct(), views[0].s if same else TERM, views[0].o if same else TERM)
     v = go(p.args[0])
     zero = v.df.select(F.col("s").alias("x")).unionByName(v.df.select(F.col("o").alias("x"))).distinct().select(F.col("x").alias("s"), F.col("x").alias("o")) if v.s.meets(v.o) else None
     if p.op == "opt":

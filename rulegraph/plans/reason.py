@@ -228,7 +228,7 @@ class Reasoner:
         if isinstance(x, Lit):
             return F.lit(x.value), Kind("lit", x.dt)
         name, _, key = x.value.partition("{")
-        return (F.lit(int(key.rstrip("}"))), Kind("iri", name)) if key else (F.lit(x.value), Kind("iri", "name"))
+        return (F.lit(int(key.rstrip("}"))).cast("bigint"), Kind("iri", name)) if key else (F.lit(x.value), Kind("iri", "name"))
 
     def _gather(self, clauses: list[Clause], graph: Graph) -> dict[str, View]:
         out: dict[str, View] = {}
@@ -318,7 +318,7 @@ class Reasoner:
 
         def write(p: str, number: int, df: DataFrame) -> int:
             target = f"{path}/{abs(hash(p)) % 10**12}/round={number}"
-            df.write.parquet(target)
+            df.select(*[F.col(x.name).cast(x.dataType) for x in schema[p]]).write.parquet(target)
             filled[p].append(target)
             made = spark.read.schema(schema[p]).parquet(target)
             n = made.count()

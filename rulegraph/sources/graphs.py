@@ -73,7 +73,7 @@ class Graph:
             name, _, key = term.value.partition("{")
             if key and name == kind.name:
                 key = key.rstrip("}")
-                return F.lit(int(key) if key.lstrip("-").isdigit() else key)
+                return F.lit(int(key)).cast("bigint") if key.lstrip("-").isdigit() else F.lit(key)
             if not key and kind.name == "name":
                 return F.lit(term.value)
         return None
