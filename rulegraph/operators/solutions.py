@@ -35,7 +35,7 @@ class Solutions:
 
     def project(self, names: list[str]) -> Solutions:
         keep = [n for n in names if n in self.kinds]
-        if len(keep) == len(self.kinds):
+        if len(keep) == len(self.kinds) and keep:
             return Solutions(self.df.select(*map(q, keep)), {n: self.kinds[n] for n in keep}, self.certain, self.is_set)
         df = self.df.select(*map(q, keep)) if keep else self.df.select(F.lit(1).alias("__unit"))
         return Solutions(df, {n: self.kinds[n] for n in keep}, self.certain & set(keep), False)
