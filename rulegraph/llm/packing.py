@@ -21,12 +21,13 @@ columns are ignored.
 from __future__ import annotations
 
 import re
+import struct
+import unicodedata
 import zlib
 from bisect import bisect_left, insort
 from collections import defaultdict
 from collections.abc import Iterator
 
-import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -34,41 +35,94 @@ from pyspark.sql import functions as F
 from rulegraph.llm.common import chunks, cut
 
 BLOCK_BYTES = 2_000_000
-#: Words of which a worker keeps the ids; when full, it starts anew.
-CACHE_WORDS = 400_000
+#: Words of which a worker keeps the ids, twice: when full, the younger half becomes the older.
+CACHE_WORDS = 700_000
+
+
+def _byte_letters() -> dict[int, int]:
+    """The letter that byte-level models write for each byte: printable ones for themselves, the others from 256 on."""
+    plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    rest = (b for b in range(256) if b not in plain)
+    return {b: b for b in plain} | {b: 256 + i for i, b in enumerate(rest)}
 
 
 class WordTokenizer:
-    """Ids of texts by a tokenizer whose patterns never cross white space, with a bounded memory of words."""
+    """Ids of texts by a tokenizer whose patterns never cross white space, with a bounded memory of words.
+
+    Words of Latin letters, digits and signs are normalised and split here, by the
+    tokenizer's own pattern, and only their pieces go to its model; any other word
+    goes through the whole tokenizer.
+    """
 
     def __init__(self, path: str):
+        import json
         import os
 
+        import regex
+
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[str, tuple[int, ...]] = {}
+        self.bpe = self.tokenizer.model.tokenize
+        with open(path) as f:
+            spec = json.load(f)
+        steps = [x["type"] for x in (spec["normalizer"] or {}).get("normalizers", [])]
+        splits = (spec["pre_tokenizer"] or {}).get("pretokenizers", [])
+        # the short way is for this kind of tokenizer alone
+        self.short = steps == ["NFC", "Replace", "Lowercase"] and [x["type"] for x in splits] == ["Split", "ByteLevel"] and splits[0]["invert"] and not splits[1]["add_prefix_space"]
+        self.pieces = regex.compile(splits[0]["pattern"]["Regex"]).findall if self.short else None
+        self.letters = _byte_letters()
+        self.latin = re.compile("[\x21-\x7e\xa1-\u024f]+").fullmatch
+        self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
         # characters that str.split() would cut at, but the tokenizer does not
         self.odd = re.compile("[\x1c-\x1f]")
         self.space = re.compile("[ \t\n\r\x0b\x0c]+")
 
-    def encode(self, texts: list[str | None]) -> list[list[int]]:
-        split = [[w for w in self.space.split(t) if w] if self.odd.search(t) else t.split() for t in (x or "" for x in texts)]
-        new = set().union(*split) if split else set()
-        if len(self.known) + len(new) > CACHE_WORDS:
-            self.known.clear()
-        new = [w for w in new if w not in self.known]
-        for at in range(0, len(new), 20_000):
-            some = new[at : at + 20_000]
-            for w, e in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
-                self.known[w] = tuple(e.ids)
-        out, known = [], self.known
-        for words in split:
-            ids: list[int] = []
-            for w in words:
-                ids += known[w]
-            out.append(ids)
+    def _piece(self, x: str) -> bytes:
+        """Ids of a piece, which are those of the word that is nothing else."""
+        got = self.known.get(x) or self.older.get(x)
+        if got is None:
+            ids = [t.id for t in self.bpe(x if x.isascii() else x.encode().decode("latin-1").translate(self.letters))]
+            got = struct.pack(f"<{len(ids)}I", *ids)
+        return got
+
+    def _word(self, w: str) -> bytes:
+        got = self.older.get(w)
+        if got is None:
+            if self.short and "<|" not in w and self.latin(w):
+                low = w.lower() if w.isascii() else "".join(map(str.lower, unicodedata.normalize("NFC", w)))
+                if low.isalpha():
+                    got = self._piece(low)
+                elif low[:-1].isalpha():
+                    got = self._piece(low[:-1]) + self._piece(low[-1])
+                else:
+                    got = b"".join(map(self._piece, self.pieces(low)))
+            else:
+                ids = self.tokenizer.encode(w, add_special_tokens=False).ids
+                got = struct.pack(f"<{len(ids)}I", *ids)
+        if len(self.known) >= CACHE_WORDS:
+            self.older, self.known = self.known, {}
+        self.known[w] = got
+        return got
+
+    def encode(self, texts: list[str | None]) -> list[bytes]:
+        """Ids of each text as little-endian 32-bit numbers."""
+        out = []
+        for t in texts:
+            t = t or ""
+            words = [w for w in self.space.split(t) if w] if self.odd.search(t) else t.split()
+            parts = [*map(self.known.get, words)]
+            at = 0
+            while True:
+                try:
+                    at = parts.index(None, at)
+                except ValueError:
+                    break
+                parts[at] = self.known.get(words[at]) or self._word(words[at])
+                at += 1
+            out.append(b"".join(parts))
         return out
 
 
@@ -77,16 +131,18 @@ def pieces(docs: DataFrame, *, tokenizer: str, text: str = "text", id: str = "do
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = WordTokenizer(tokenizer)
+        last = struct.pack("<I", end_id)
         n_rows = 0
         for batch in batches:
             for part in chunks(batch, 0, BLOCK_BYTES):
                 at, rows = [], []
                 for i, ids in enumerate(encoder.encode(part.column(0).to_pylist())):
-                    a = np.array([*ids, end_id], "<u4")
-                    for start in range(0, len(a), max_tokens):
-                        own = a[start : start + max_tokens]
+                    ids += last
+                    n = len(ids) // 4
+                    for start in range(0, n, max_tokens):
+                        own = ids[4 * start : 4 * (start + max_tokens)]
                         at.append(i)
-                        rows.append((n_rows + i, start, len(own), zlib.crc32(own.tobytes()), len(a)))
+                        rows.append((n_rows + i, start, len(own) // 4, zlib.crc32(own), n))
                 n_rows += part.num_rows
                 cols = [pa.array(c, pa.int64()) for c in zip(*rows, strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(1).take(pa.array(at)), *cols], ["id", "row", "start", "length", "ids_crc32", "doc_tokens"])
