@@ -6,7 +6,8 @@ evaluation is semi-naive: in each round a rule runs once for each place where a
 recursive predicate stands, with that place reading only what the round before has
 found. New pairs are written to a folder for each round; the known ones are read
 from all those folders, so plans stay small whatever the depth, and a lost executor
-costs a re-read. Views that the loop does not change are written once before it.
+costs a re-read. Rounds of a few rows, up to a fixed number, are kept in the plan
+itself: a goal-directed walk along a chain then costs one small job a step. Views that the loop does not change are written once before it.
 
 Goal-directed evaluation rewrites the program first: constants of the goal become
 demand, and rules derive only what is demanded (see ``demand``).
@@ -191,8 +192,10 @@ class Result:
 
 
 class Reasoner:
-    def __init__(self, graph: Graph, *, max_rounds: int = 500, max_skolem_depth: int = 8, row_budget: int | None = None, on_cycle: str = "error"):
+    def __init__(self, graph: Graph, *, small_rows: int = 500, max_rounds: int = 500, max_skolem_depth: int = 8, row_budget: int | None = None, on_cycle: str = "error"):
         self.graph, self.spark = graph, graph.spark
+        #: Rounds that find no more rows than this keep them in the plan instead of a folder.
+        self.small_rows = small_rows
         self.max_rounds, self.max_skolem_depth, self.row_budget, self.on_cycle = max_rounds, max_skolem_depth, row_budget, on_cycle
 
     # -------------------------------------------------------- one clause
@@ -316,17 +319,42 @@ class Reasoner:
         delta: dict[str, View] = {}
         filled: dict[str, list[str]] = {p: [] for p in names}
 
+        inline: dict[str, list[tuple]] = {p: [] for p in names}
+        last: dict[str, int] = {}
+
+        def rows_frame(p: str, rows: list[tuple]) -> DataFrame:
+            """A few rows as part of the plan."""
+            body = ", ".join(f"({a}L, {b}L)" for a, b in rows)
+            return spark.sql(f"SELECT * FROM VALUES {body} AS t(s, o)")
+
         def write(p: str, number: int, df: DataFrame) -> int:
+            df = df.select(*[F.col(x.name).cast(x.dataType) for x in schema[p]])
+            if last.get(p, self.small_rows + 1) <= self.small_rows and all(x.dataType.simpleString() == "bigint" for x in schema[p]):
+                rows = [tuple(r) for r in df.limit(self.small_rows + 1).collect()]
+                if len(rows) <= self.small_rows and all(x is not None and abs(x) < 1 << 62 for r in rows for x in r):
+                    last[p] = len(rows)
+                    if rows:
+                        delta[p] = View(rows_frame(p, rows), *kinds[p])
+                        inline[p] += rows
+                    if len(inline[p]) > self.small_rows:
+                        target = f"{path}/{abs(hash(p)) % 10**12}/rows={number}"
+                        rows_frame(p, inline[p]).write.parquet(target)
+                        filled[p].append(target)
+                        inline[p] = []
+                    return len(rows)
             target = f"{path}/{abs(hash(p)) % 10**12}/round={number}"
-            df.select(*[F.col(x.name).cast(x.dataType) for x in schema[p]]).write.parquet(target)
+            df.write.parquet(target)
             filled[p].append(target)
             made = spark.read.schema(schema[p]).parquet(target)
-            n = made.count()
+            n = last[p] = made.count()
             delta[p] = View(made, *kinds[p])
             return n
 
         def known(p: str) -> View:
-            return View(spark.read.schema(schema[p]).parquet(*filled[p]), *kinds[p])
+            df = spark.read.schema(schema[p]).parquet(*filled[p])
+            if inline[p]:
+                df = df.unionByName(rows_frame(p, inline[p]))
+            return View(df, *kinds[p])
 
         def start(p: str, v: View, number: int) -> int:
             kinds[p], schema[p] = (v.s, v.o), v.df.select("s", "o").schema
