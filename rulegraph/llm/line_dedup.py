@@ -36,11 +36,13 @@ from pyspark.sql import functions as F
 from rulegraph.llm.common import chunks, cut
 
 BLOCK_BYTES = 2_000_000
+SALTS = 16
 _h64 = lambda s: xxhash.xxh3_64_intdigest(s) - (1 << 63)
 
 
-def _h128(s: bytes) -> bytes:
-    return xxhash.xxh3_128_digest(s)
+def _h128(s: bytes) -> tuple[int, int]:
+    a, b = divmod(xxhash.xxh3_128_intdigest(s), 1 << 64)
+    return a - (1 << 63), b - (1 << 63)
 
 
 def normal(line: str) -> str:
@@ -64,41 +66,56 @@ def variants(line: str) -> list[tuple[int, int]]:
 
 
 def _lines(docs: DataFrame, text: str, id: str, min_chars: int, min_fuzzy: int, fuzzy: bool) -> DataFrame:
-    """(id, no, h, halves) of every line that takes part."""
+    """(id, no, h, h2, halves) of every line that takes part; h and h2 are its 128-bit hash."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in chunks(batch, 0, BLOCK_BYTES):
-                ids, nos, hs, halves = [], [], [], []
+                ids, nos, h1, h2, halves = [], [], [], [], []
                 for t, k in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
                     for no, line in enumerate((t or "").split("\n")):
                         x = normal(line)
                         if len(x) >= min_chars and x:
                             ids.append(k)
                             nos.append(no)
-                            hs.append(_h128(x.encode("utf-8", "surrogatepass")))
+                            a, b = _h128(x.encode("utf-8", "surrogatepass"))
+                            h1.append(a)
+                            h2.append(b)
                             halves.append(half_keys(x) if fuzzy and len(x) >= min_fuzzy else [])
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(nos, pa.int32()), pa.array(hs, pa.binary()), pa.array(halves, pa.list_(pa.int64()))], ["id", "no", "h", "halves"])
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(nos, pa.int32()), pa.array(h1, pa.int64()), pa.array(h2, pa.int64()), pa.array(halves, pa.list_(pa.int64()))], ["id", "no", "h", "h2", "halves"])
 
-    return docs.select(F.col(text).alias("t"), F.col(id).cast("bigint").alias("i")).mapInArrow(run, "id bigint, no int, h binary, halves array<bigint>")
+    return docs.select(F.col(text).alias("t"), F.col(id).cast("bigint").alias("i")).mapInArrow(run, "id bigint, no int, h bigint, h2 bigint, halves array<bigint>")
 
 
 def _variant_rows(lines: DataFrame) -> DataFrame:
-    """(h, first, place, key) of lines given as (h, first, line)."""
+    """(h, place, key) of lines given as (h, line)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in chunks(batch, 2, 40_000):
-                at, places, keys = [], [], []
-                for i, line in enumerate(part.column(2).to_pylist()):
+            for part in chunks(batch, 1, 40_000):
+                hs, places, keys = [], [], []
+                for h, line in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
                     for p, k in variants(line):
-                        at.append(i)
+                        hs.append(h)
                         places.append(p)
                         keys.append(k)
-                take = pa.array(at, pa.int64())
-                yield pa.RecordBatch.from_arrays([part.column(0).take(take), part.column(1).take(take), pa.array(places, pa.int32()), pa.array(keys, pa.int64())], ["h", "first", "place", "key"])
+                yield pa.RecordBatch.from_arrays([pa.array(hs, pa.int64()), pa.array(places, pa.int32()), pa.array(keys, pa.int64())], ["h", "place", "key"])
 
-    return lines.select("h", "first", "line").mapInArrow(run, "h binary, first struct<id:bigint,no:int>, place int, key bigint")
+    return lines.select("h", "line").mapInArrow(run, "h bigint, place int, key bigint")
+
+
+def _with_shared_key(rows: DataFrame) -> DataFrame:
+    """Rows (h, key, ...) whose key another h has too.
+
+    The rows are dealt out once, by key and a salt of h, and both the counting and
+    the picking read that exchange; a key that very many lines share is spread
+    over as many tasks as there are salts.
+    """
+    dealt = rows.withColumn("salt", F.pmod("h", F.lit(SALTS))).repartition("key", "salt")
+    part = dealt.groupBy("key", "salt").agg(F.min("h").alias("a"), F.max("h").alias("z"))
+    shared = part.groupBy("key").agg(F.min("a").alias("a"), F.max("z").alias("z")).where("a != z")
+    shared = shared.select("key", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(SALTS - 1).cast("bigint"))).alias("salt"))
+    return dealt.join(shared, ["key", "salt"], "left_semi").drop("salt")
 
 
 def repeated_lines(docs: DataFrame, *, text: str = "text", id: str = "doc_id", max_edits: int = 1, min_chars: int = 10, min_fuzzy_chars: int = 24) -> DataFrame:
@@ -106,23 +123,22 @@ def repeated_lines(docs: DataFrame, *, text: str = "text", id: str = "doc_id", m
     if max_edits not in (0, 1):
         raise ValueError("deletion keys are emitted for 0 or 1 edits")
     lines = cut(_lines(docs, text, id, min_chars, min_fuzzy_chars, max_edits > 0))
-    distinct = lines.groupBy("h").agg(F.min(F.struct("id", "no")).alias("first"), F.count(F.lit(1)).alias("n"))
-    late = lines.join(distinct.where("n > 1").select("h", "first"), "h").where(~(F.col("id").eqNullSafe(F.col("first.id")) & (F.col("no") == F.col("first.no")))).select("id", "no")
+    distinct = lines.groupBy("h", "h2").agg(F.min(F.struct("id", "no")).alias("first"), F.count(F.lit(1)).alias("n"))
+    late = lines.join(distinct.where("n > 1").select("h", "h2", "first"), ["h", "h2"]).where(~(F.col("id").eqNullSafe(F.col("first.id")) & (F.col("no") == F.col("first.no")))).select("id", "no")
     if not max_edits:
         return late
     # lines of which a half occurs in another line of fitting length
     half = lines.select("h", F.explode("halves").alias("key"))
-    shared = half.groupBy("key").agg(F.min("h").alias("a"), F.max("h").alias("z")).where("a != z").select("key")
-    may = half.join(shared, "key", "left_semi").select("h").distinct()
+    may = _with_shared_key(half).select("h").distinct()
     # one occurrence gives the text
     may_first = cut(lines.select("h", "id", "no").join(may, "h").groupBy("h").agg(F.min(F.struct("id", "no")).alias("first")))
     wanted = may_first.groupBy(F.col("first.id").alias("_id")).agg(F.collect_list(F.struct(F.col("first.no").alias("no"), "h", "first")).alias("_want"))
     texts = docs.where(F.col(text).isNotNull()).select(F.col(id).cast("bigint").alias("_id"), F.split(F.col(text), "\n").alias("_l"))
-    picked = texts.join(wanted, "_id").select("_l", F.explode("_want").alias("w")).select(F.col("w.h").alias("h"), F.col("w.first").alias("first"), F.get("_l", F.col("w.no")).alias("line"))
+    # dealt out at every size: the wanted lines grow with the corpus, so they are never sent to all tasks
+    picked = texts.join(wanted.hint("merge"), "_id").select("_l", F.explode("_want").alias("w")).select(F.col("w.h").alias("h"), F.col("w.first").alias("first"), F.get("_l", F.col("w.no")).alias("line"))
     near = cut(_normal_lines(picked))
-    rows = _variant_rows(near)
-    shared_key = rows.groupBy("key").agg(F.min("h").alias("a"), F.max("h").alias("z")).where("a != z").select("key")
-    live = cut(rows.join(shared_key, "key", "left_semi"))
+    live = _with_shared_key(_variant_rows(near)).join(near.select("h", "first"), "h")
+    live = cut(live)
     same_place = live.where("place >= 0")
     least = same_place.groupBy("key", "place").agg(F.min(F.struct("first", "h")).alias("e"))
     subs = same_place.join(least, ["key", "place"]).where("h != e.h").select("h", F.col("e.h").alias("other"))
@@ -142,16 +158,16 @@ def _normal_lines(picked: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             lines = [normal(x or "") for x in batch.column(2).to_pylist()]
-            fits = pa.array([_h128(x.encode("utf-8", "surrogatepass")) == h for x, h in zip(lines, batch.column(0).to_pylist(), strict=True)], pa.bool_())
+            fits = pa.array([_h128(x.encode("utf-8", "surrogatepass"))[0] == h for x, h in zip(lines, batch.column(0).to_pylist(), strict=True)], pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(lines, pa.string())], ["h", "first", "line"]).filter(fits)
 
-    return picked.select("h", "first", "line").mapInArrow(run, "h binary, first struct<id:bigint,no:int>, line string")
+    return picked.select("h", "first", "line").mapInArrow(run, "h bigint, first struct<id:bigint,no:int>, line string")
 
 
 def dedup_lines(docs: DataFrame, *, text: str = "text", id: str = "doc_id", **params) -> DataFrame:
     """docs with ``text`` without repeated lines, and ``n_lines``, ``n_removed`` (lines with a word)."""
     gone = repeated_lines(docs, text=text, id=id, **params).groupBy(F.col("id").alias("_id")).agg(F.sort_array(F.collect_list("no")).alias("_gone"))
-    df = docs.join(gone, F.col(id).cast("bigint").eqNullSafe(F.col("_id")), "left").drop("_id")
+    df = docs.join(gone.hint("merge"), F.col(id).cast("bigint").eqNullSafe(F.col("_id")), "left").drop("_id")
     df = df.withColumn("_all", F.split(F.col(text), "\n"))
     kept = F.filter("_all", lambda x, i: ~F.array_contains("_gone", i))
     df = df.withColumn("n_lines", F.coalesce(F.size(F.filter("_all", lambda x: x.rlike("\\S"))), F.lit(0)).cast("bigint"))
