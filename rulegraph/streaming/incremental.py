@@ -115,3 +115,38 @@ with e as (select user_id, ts, lag(ts) over (partition by user_id order by ts) a
 m as (select user_id, ts, sum(case when before is null or ts >= before + interval 30 minutes then 1 else 0 end) over (partition by user_id order by ts rows unbounded preceding) as g from e)
 select user_id, min(ts) as "first", count(*) as n from m group by user_id, g
 """
+
+
+STATE = "exposed timestamp, symptom timestamp, tested boolean"
+
+
+def patient_updates(events: DataFrame, days: int = 14) -> DataFrame:
+    """Per-patient screening state over a stream of (user_id, kind, ts), kind being exposure, symptom or tested.
+
+    A custom stateful operator: the latest exposure and symptom and whether a test
+    was seen are kept for each user; a row comes out whenever the decision changes.
+    Late events only ever add to the state, so replays end in the same decisions.
+    """
+    import pandas as pd
+    from pyspark.sql.streaming.state import GroupStateTimeout
+
+    def step(key, frames, state):
+        exposed, symptom, tested = state.get if state.exists else (None, None, False)
+
+        def positive() -> bool:
+            return bool(not tested and exposed is not None and symptom is not None and pd.Timedelta(0) <= symptom - exposed <= pd.Timedelta(days=days))
+
+        before = positive()
+        for f in frames:
+            for kind, ts in zip(f["kind"], f["ts"], strict=True):
+                if kind == "exposure":
+                    exposed = ts if exposed is None else max(exposed, ts)
+                elif kind == "symptom":
+                    symptom = ts if symptom is None else max(symptom, ts)
+                elif kind == "tested":
+                    tested = True
+        state.update((exposed, symptom, tested))
+        if positive() != before:
+            yield pd.DataFrame({"user_id": [key[0]], "positive": [positive()]})
+
+    return events.groupBy("user_id").applyInPandasWithState(step, "user_id bigint, positive boolean", STATE, "update", GroupStateTimeout.NoTimeout)
