@@ -112,7 +112,8 @@ def path_view(graph: Graph, p: A.Path, s: object = None, o: object = None) -> Vi
         back = v.df.select(F.col("o").alias("s"), F.col("s").alias("o"))
         got = reachable(back, v.df.select(const.alias("x")).limit(1)).select(F.col("x").alias("s"), const.alias("o"))
     else:
-        got = closure(v.df)
+        # both ends free: few rounds matter more than joining each pair once
+        got = closure(v.df, doubling=True)
     if p.op == "plus":
         return View(got, v.s, v.o)
     return View(got.unionByName(zero).distinct(), v.s, v.o)

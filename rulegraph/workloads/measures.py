@@ -71,11 +71,10 @@ def summary_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return summary(spark.createDataFrame(rows, SCHEMA))
 
 
-def demanded_fraction(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Facts that goal-directed and bottom-up evaluation of the deep taxonomy derive for the same goal."""
-    engine = Engine(spark).mapped_graph(sf_dir)
-    spec = recursive.WORKLOADS["deep_taxonomy"]
-    texts, goal = spec.rules(spark, sf_dir), spec.goal(spark, sf_dir)
+def demanded_fraction(spark: SparkSession, sf_dir: str, depth: int = 8) -> DataFrame:
+    """Facts that goal-directed and bottom-up evaluation of a taxonomy of chains derive for the same goal."""
+    engine = Engine(spark).mapped_graph(sf_dir, chain=depth)
+    texts, goal = recursive.TAXONOMY, f"?item ex:memberOf <class{{{depth - 1}}}>"
     rules = engine.rules(texts)
     whole = Reasoner(engine.graph).forward(rules)
     _, part = Reasoner(engine.graph).backward(goal_of(goal), rules)
