@@ -16,9 +16,11 @@ sort key form a group.
 
 An anchor's windows lie next to each other; their union is its context. Anchors
 of a group with equal contexts are a class, and a class with two members or more
-is repeated as a whole. Where a group has several classes, the single windows of
-one member each are compared by hash; those found twice are repeated. So every
-window is decided, and copies are never paired with one another.
+is repeated as a whole. Where a group has several classes, the context of one
+member each is sent on, and its windows are compared by hash within the group;
+those found twice are repeated. Groups of very many classes are not held in a task:
+their windows are counted by shuffle. So every window is decided, and copies are
+never paired with one another.
 
 The result is exact up to collisions of 128-bit hashes. A byte is removed if any
 window over it is repeated anywhere, in the same text as well; windows are judged
@@ -44,6 +46,8 @@ from rulegraph.llm.common import chunks, cut
 
 GRAM, KEY = 16, 64
 BLOCK_BYTES, RUN_SUFFIXES = 2_000_000, 100_000
+#: Classes of a group up to which it is compared in one task.
+HUGE_GROUP = 20_000
 #: Bytes of text for each range of the sorted order.
 RANGE_TEXT = 16_000_000
 _MASK = (1 << 28) - 1
@@ -251,30 +255,95 @@ def _merge(table: pa.Table) -> pa.Table:
     )
 
 
-def _windows(rows: DataFrame, length: int) -> DataFrame:
-    """(w, gid, cls, at) of the single windows of (t, places: array of (gid, cls, first, last))."""
+def _contexts(rows: DataFrame, length: int) -> DataFrame:
+    """(gid, cls, n, id, th, first, ctx) of (t, id, th, places)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in chunks(batch, 0, BLOCK_BYTES):
-                out: list[tuple[bytes, int, bytes, int]] = []
-                for t, places in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
+                out, held = [], 0
+                for t, k, th, places in zip(*(part.column(i).to_pylist() for i in range(4)), strict=True):
                     data = t.encode("utf-8", "surrogatepass")
                     for p in places:
-                        gid, cls = p["gid"], p["cls"]
-                        out += [(xxhash.xxh3_128_digest(data[s : s + length]), gid, cls, s) for s in range(p["first"], p["last"] + 1)]
-                    if len(out) > 100_000:
-                        yield _window_batch(out)
-                        out = []
+                        ctx = data[p["first"] : p["last"] + length]
+                        out.append((p["gid"], p["cls"], p["n"], k, th, p["first"], ctx))
+                        held += len(ctx)
+                    if held > 4 * BLOCK_BYTES:
+                        yield _batch(out, _CONTEXT)
+                        out, held = [], 0
                 if out:
-                    yield _window_batch(out)
+                    yield _batch(out, _CONTEXT)
+
+    return rows.select("t", "id", "th", "places").mapInArrow(run, "gid bigint, cls binary, n bigint, id bigint, th bigint, first int, ctx binary")
+
+
+_CONTEXT = (("gid", pa.int64()), ("cls", pa.binary()), ("n", pa.int64()), ("id", pa.int64()), ("th", pa.int64()), ("first", pa.int32()), ("ctx", pa.binary()))
+_SPAN = (("id", pa.int64()), ("th", pa.int64()), ("a", pa.int32()), ("z", pa.int32()))
+_WINDOW = (("w", pa.binary()), ("id", pa.int64()), ("th", pa.int64()), ("at", pa.int32()), ("n", pa.int64()))
+
+
+def _batch(out: list[tuple], fields) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], k) for i, (_, k) in enumerate(fields)], [n for n, _ in fields])
+
+
+def _repeated_in_group(group: dict[bytes, tuple], length: int) -> list[tuple]:
+    """Ranges of repeated windows of a group's classes that have one member."""
+    digest = xxhash.xxh3_128_digest
+    own = {cls: [digest(r[6][s : s + length]) for s in range(len(r[6]) - length + 1)] for cls, r in group.items()}
+    count: dict[bytes, int] = {}
+    for hashes in own.values():
+        for h in hashes:
+            count[h] = count.get(h, 0) + 1
+    out = []
+    for cls, hashes in own.items():
+        _, _, n, k, th, first, _ = group[cls]
+        if n > 1:
+            continue
+        start = None
+        for i, h in enumerate([*hashes, None]):
+            twice = h is not None and count[h] > 1
+            if twice and start is None:
+                start = i
+            elif not twice and start is not None:
+                out.append((k, th, first + start, first + i - 1))
+                start = None
+    return out
+
+
+def _group_spans(contexts: DataFrame, length: int) -> DataFrame:
+    """(id, th, a, z) from contexts sorted by group within partitions; one group is held at a time."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        gid, group, out = None, {}, []
+        for batch in batches:
+            for row in zip(*(batch.column(i).to_pylist() for i in range(7)), strict=True):
+                if row[0] != gid:
+                    out += _repeated_in_group(group, length)
+                    gid, group = row[0], {}
+                group[row[1]] = row
+            if len(out) > 50_000:
+                yield _batch(out, _SPAN)
+                out = []
+        out += _repeated_in_group(group, length)
+        if out:
+            yield _batch(out, _SPAN)
+
+    return contexts.mapInArrow(run, "id bigint, th bigint, a int, z int")
+
 
-    return rows.mapInArrow(run, "w binary, gid bigint, cls binary, at int")
+def _windows(contexts: DataFrame, length: int) -> DataFrame:
+    """(w, id, th, at, n) of every window of the contexts."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 500):
+                part = batch.slice(at, 500)
+                out = []
+                for _, _, n, k, th, first, ctx in zip(*(part.column(i).to_pylist() for i in range(7)), strict=True):
+                    out += [(xxhash.xxh3_128_digest(ctx[s : s + length]), k, th, first + s, n) for s in range(len(ctx) - length + 1)]
+                yield _batch(out, _WINDOW)
 
-def _window_batch(out: list[tuple]) -> pa.RecordBatch:
-    kinds = (pa.binary(), pa.int64(), pa.binary(), pa.int32())
-    return pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], k) for i, k in enumerate(kinds)], ["w", "gid", "cls", "at"])
+    return contexts.mapInArrow(run, "w binary, id bigint, th bigint, at int, n bigint")
 
 
 def repeated_spans(docs: DataFrame, *, text: str = "text", id: str = "doc_id", length: int = 400, window: int = 256) -> DataFrame:
@@ -293,14 +362,21 @@ def repeated_spans(docs: DataFrame, *, text: str = "text", id: str = "doc_id", l
     classes = members.groupBy("gid", "cls").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("id", "th", "first", "last")).alias("m"))
     classes = cut(classes)
     whole = members.join(classes.where("n > 1").select("gid", "cls"), ["gid", "cls"], "left_semi").select("id", "th", F.col("first").alias("a"), F.col("last").alias("z"))
-    several = classes.groupBy("gid").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("gid")
-    open_ = classes.join(several, "gid", "left_semi")
-    wanted = open_.groupBy(F.col("m.id").alias("_id"), F.col("m.th").alias("_th")).agg(F.collect_list(F.struct("gid", "cls", F.col("m.first").alias("first"), F.col("m.last").alias("last"))).alias("places"))
-    texts = rows.join(wanted, F.col("id").eqNullSafe(F.col("_id")) & (F.col("th") == F.col("_th"))).dropDuplicates(["id", "th"]).select("t", "places")
-    single = cut(_windows(texts, length))
-    twice = single.groupBy("w").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("w")
-    found = single.join(twice, "w", "left_semi").select("gid", "cls", "at")
-    parts = found.join(classes.where("n = 1"), ["gid", "cls"]).select("m.id", "m.th", F.col("at").alias("a"), F.col("at").alias("z"))
+    several = classes.groupBy("gid").agg(F.count(F.lit(1)).alias("k")).where("k > 1")
+    open_ = classes.join(several, "gid")
+    wanted = open_.groupBy(F.col("m.id").alias("_id"), F.col("m.th").alias("_th")).agg(F.collect_list(F.struct("gid", "cls", "n", F.col("m.first").alias("first"), F.col("m.last").alias("last"))).alias("places"))
+    texts = rows.join(wanted, F.col("id").eqNullSafe(F.col("_id")) & (F.col("th") == F.col("_th")))
+    contexts = _contexts(texts, length)
+    huge = several.where(F.col("k") > HUGE_GROUP).select("gid")
+    if huge.limit(1).count():
+        # groups too large for one task: their windows are counted by shuffle
+        contexts = cut(contexts)
+        single = cut(_windows(contexts.join(huge, "gid", "left_semi").dropDuplicates(["gid", "cls"]), length))
+        twice = single.groupBy("w").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("w")
+        parts = single.where("n = 1").join(twice, "w", "left_semi").select("id", "th", F.col("at").alias("a"), F.col("at").alias("z"))
+        whole = whole.unionByName(parts)
+        contexts = contexts.join(huge, "gid", "left_anti")
+    parts = _group_spans(contexts.repartition("gid").sortWithinPartitions("gid"), length)
     return whole.unionByName(parts).groupBy("id", "th").agg(F.collect_list(F.struct("a", "z")).alias("spans"))
 
 
