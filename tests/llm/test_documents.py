@@ -125,6 +125,17 @@ def test_close_links_find_every_component(spark):
     assert {f: got.get(f, f) for f in fps} == label
 
 
+def test_components_of_chains_have_one_root(spark):
+    chain = [1, 10, 5, 11, 2]
+    rng = np.random.default_rng(4)
+    paths = [[100 * k + int(x) for x in rng.permutation(8)] for k in range(1, 13)]
+    edges = [e for p in [chain, *paths] for e in zip(p, p[1:], strict=False)]
+    rows = connected_components(spark.createDataFrame(edges, "a bigint, b bigint")).collect()
+    assert sorted((r["node"], r["root"]) for r in rows) == sorted((x, min(p)) for p in [chain, *paths] for x in p)
+    with pytest.raises(RuntimeError):
+        connected_components(spark.createDataFrame(edges, "a bigint, b bigint"), max_rounds=1)
+
+
 # ---------------------------------------------------------------- lines
 
 
