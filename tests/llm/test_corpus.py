@@ -106,6 +106,19 @@ def test_overlapping_windows_score_every_place_once():
         assert all(x[i, 0] == (0 if i == 0 else seq[i * 5 - 1]) for i in range(len(x)))
 
 
+def test_training_sees_every_place_of_every_text_once(spark):
+    s = language_model.ModelShape(context=8, stride=5)
+    seqs = [bytes(range(1, n + 1)) for n in (1, 2, 8, 9, 13, 14, 40)]
+    read = spark.createDataFrame(list(enumerate(seqs)), "uid bigint, seq binary")
+    want = []
+    for i, q in enumerate(seqs):
+        x, y, m = language_model.windows_of(np.frombuffer(q, np.uint8), s)
+        want += [(i, y[k][mark].tolist(), int(x[k, 0])) for k, mark in enumerate(m)]
+    rows = language_model.training_windows(read, s).collect()
+    assert sorted((r["uid"], list(r["win"][1 + r["fresh"] :]), r["win"][0]) for r in rows) == sorted(want)
+    assert len({(r["uid"], r["no"]) for r in rows}) == len(rows)
+
+
 def test_class_probabilities_sum_to_one():
     s = language_model.ModelShape(classes=5, own_classes=2, context=4, stride=2)
     flat = language_model.initial(s, np.full(5, 0.2))
