@@ -71,7 +71,7 @@ def summary_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return summary(spark.createDataFrame(rows, SCHEMA))
 
 
-def demanded_fraction(spark: SparkSession, sf_dir: str, depth: int = 8) -> DataFrame:
+def demanded_fraction(spark: SparkSession, sf_dir: str, depth: int = 32) -> DataFrame:
     """Facts that goal-directed and bottom-up evaluation of a taxonomy of chains derive for the same goal."""
     engine = Engine(spark).mapped_graph(sf_dir, chain=depth)
     texts, goal = recursive.TAXONOMY, f"?item ex:memberOf <class{{{depth - 1}}}>"

@@ -8,7 +8,7 @@ from rulegraph.engine import Engine
 from rulegraph.plans.parser import parse_query
 from rulegraph.plans.reason import DepthExceeded, UnstratifiedRecursion, clauses_of, stratify
 from rulegraph.streaming.incremental import IncrementalClosure, NonMonotoneStreamingRule, check_monotone
-from rulegraph.workloads import recursive
+from rulegraph.workloads import measures, recursive
 from tests.toys import engine, triples
 
 SF = "/root/testdata/sf0.001"
@@ -102,3 +102,15 @@ def test_incremental_closure_is_idempotent(spark):
 def test_streams_take_monotone_rules_only():
     with pytest.raises(NonMonotoneStreamingRule):
         check_monotone([parse_query("CONSTRUCT { ?x :a ?x } WHERE { ?x :p ?y MINUS { ?x :q ?z } }")])
+
+
+def test_demanded_fraction_walks_the_chains_of_the_workload(spark):
+    sf_dir = "/root/testdata/sf0.001"
+    keys = {k for (k,) in duckdb.sql(f"select p_partkey from '{sf_dir}/part.parquet'").fetchall()}
+    steps = 0
+    for k in keys:
+        while k in keys and k % 32 != 31:
+            k, steps = k + 1, steps + 1
+    (row,) = measures.demanded_fraction(spark, sf_dir).collect()
+    # the given memberships are counted too
+    assert row["forward_facts"] == len(keys) + steps and 0 < row["demanded_facts"] < steps
