@@ -54,7 +54,7 @@ class WordTokenizer:
     goes through the whole tokenizer.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, cache_words: int = CACHE_WORDS):
         import json
         import os
 
@@ -74,6 +74,7 @@ class WordTokenizer:
         self.pieces = regex.compile(splits[0]["pattern"]["Regex"]).findall if self.short else None
         self.letters = _byte_letters()
         self.latin = re.compile("[\x21-\x7e\xa1-\u024f]+").fullmatch
+        self.cache_words = cache_words
         self.known: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
         # characters that str.split() would cut at, but the tokenizer does not
@@ -102,7 +103,7 @@ class WordTokenizer:
             else:
                 ids = self.tokenizer.encode(w, add_special_tokens=False).ids
                 got = struct.pack(f"<{len(ids)}I", *ids)
-        if len(self.known) >= CACHE_WORDS:
+        if len(self.known) >= self.cache_words:
             self.older, self.known = self.known, {}
         self.known[w] = got
         return got
