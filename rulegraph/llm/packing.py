@@ -77,16 +77,20 @@ class WordTokenizer:
         self.cache_words = cache_words
         self.known: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
+        self.signs: dict[str, bytes] = {}
         # characters that str.split() would cut at, but the tokenizer does not
         self.odd = re.compile("[\x1c-\x1f]")
         self.space = re.compile("[ \t\n\r\x0b\x0c]+")
 
     def _piece(self, x: str) -> bytes:
         """Ids of a piece, which are those of the word that is nothing else."""
-        got = self.known.get(x) or self.older.get(x)
+        got = self.known.get(x) or self.older.get(x) or self.signs.get(x)
         if got is None:
             ids = [t.id for t in self.bpe(x if x.isascii() else x.encode().decode("latin-1").translate(self.letters))]
             got = struct.pack(f"<{len(ids)}I", *ids)
+            # signs follow many words and seldom stand alone
+            if len(x) <= 4 and not x.isalpha() and len(self.signs) < 50_000:
+                self.signs[x] = got
         return got
 
     def _word(self, w: str) -> bytes:
