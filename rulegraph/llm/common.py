@@ -46,6 +46,20 @@ def cut(df: DataFrame) -> DataFrame:
     return out
 
 
+def number_rows(docs: DataFrame, text: str) -> tuple[DataFrame, str, str]:
+    """docs written with a number for each row and a hash of its text, and the names of these columns."""
+    row, th = fresh(docs, "row"), fresh(docs, "text_hash")
+    return cut(docs.withColumn(row, F.monotonically_increasing_id()).withColumn(th, F.xxhash64(text))), row, th
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that df does not have, whatever the case."""
+    taken = {c.lower() for c in df.columns}
+    while name in taken:
+        name += "_"
+    return name
+
+
 def drop_cut(df: DataFrame) -> None:
     """Delete a table made by cut() that nothing reads any more."""
     jvm = df.sparkSession.sparkContext._jvm

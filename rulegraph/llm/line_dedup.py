@@ -13,15 +13,19 @@ partner at all, and only those emit variants. Nothing is lost by that: a line
 whose half keys nobody shares has no partner.
 
 A line occurrence is removed if an equal line, or one within ``max_edits``,
-occurs earlier (by document id, then place). All is judged on the input, not on
-what is left. Lines are compared trimmed and in lower case. Lines shorter than
-``min_chars`` are never removed, those shorter than ``min_fuzzy_chars`` are only
-compared exactly.
-
-Defined results: null texts stay null and have no lines; blank lines stay; rows
-with equal ids are told apart by a row number, in partition order; null ids come
-first; extra columns pass through. Keys are 64-bit hashes of pairs of which the
-near ones are verified on the texts; equality rests on a 128-bit hash.
+occurs earlier (by document id, then text hash, then row, then place). All is judged
+on the input, not on what is left. Lines are compared trimmed and in lower case.
+Lines shorter than ``min_chars`` are never removed, those shorter than
+``min_fuzzy_chars`` are only compared exactly, as one edit makes another line of them.
+
+Rows are numbered and written once before anything else, and everything goes by that
+number: equal ids with different texts stay apart, and of equal rows one keeps its
+lines. Lines or keys that very many rows share are dealt to several tasks by a salt.
+
+Defined results: null texts stay null and have no lines; blank lines stay; ids may be
+of any type, null ones come first; extra columns pass through. Keys are 64-bit hashes
+of pairs of which the near ones are verified on the texts; equality rests on a
+128-bit hash.
 """
 
 from __future__ import annotations
@@ -30,13 +34,14 @@ from collections.abc import Iterator
 
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulegraph.llm.common import chunks, cut
+from rulegraph.llm.common import chunks, cut, fresh, number_rows
 
 BLOCK_BYTES = 2_000_000
-SALTS = 16
+#: Tasks that share the rows of one frequent key: the bits of a bigint.
+SALTS = 64
 _h64 = lambda s: xxhash.xxh3_64_intdigest(s) - (1 << 63)
 
 
@@ -65,26 +70,28 @@ def variants(line: str) -> list[tuple[int, int]]:
     return [(-1, _h64(raw.encode("utf-8", "surrogatepass")))] + [(i, _h64((raw[:i] + raw[i + 1 :]).encode("utf-8", "surrogatepass"))) for i in range(len(raw))]
 
 
-def _lines(docs: DataFrame, text: str, id: str, min_chars: int, min_fuzzy: int, fuzzy: bool) -> DataFrame:
-    """(id, no, h, h2, halves) of every line that takes part; h and h2 are its 128-bit hash."""
+def _lines(rows: DataFrame, min_chars: int, min_fuzzy: int, fuzzy: bool) -> DataFrame:
+    """(id, th, row, no, h, h2, halves) of every line that takes part; h and h2 are its 128-bit hash."""
+    kind = rows.schema["id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in chunks(batch, 0, BLOCK_BYTES):
-                ids, nos, h1, h2, halves = [], [], [], [], []
-                for t, k in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
+                at, nos, h1, h2, halves = [], [], [], [], []
+                for k, t in enumerate(part.column(0).to_pylist()):
                     for no, line in enumerate((t or "").split("\n")):
                         x = normal(line)
                         if len(x) >= min_chars and x:
-                            ids.append(k)
+                            at.append(k)
                             nos.append(no)
                             a, b = _h128(x.encode("utf-8", "surrogatepass"))
                             h1.append(a)
                             h2.append(b)
                             halves.append(half_keys(x) if fuzzy and len(x) >= min_fuzzy else [])
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(nos, pa.int32()), pa.array(h1, pa.int64()), pa.array(h2, pa.int64()), pa.array(halves, pa.list_(pa.int64()))], ["id", "no", "h", "h2", "halves"])
+                own = part.select([1, 2, 3]).take(pa.array(at, pa.int64()))
+                yield pa.RecordBatch.from_arrays([*own.columns, pa.array(nos, pa.int32()), pa.array(h1, pa.int64()), pa.array(h2, pa.int64()), pa.array(halves, pa.list_(pa.int64()))], ["id", "th", "row", "no", "h", "h2", "halves"])
 
-    return docs.select(F.col(text).alias("t"), F.col(id).cast("bigint").alias("i")).mapInArrow(run, "id bigint, no int, h bigint, h2 bigint, halves array<bigint>")
+    return rows.select("t", "id", "th", "row").mapInArrow(run, f"id {kind}, th bigint, row bigint, no int, h bigint, h2 bigint, halves array<bigint>")
 
 
 def _variant_rows(lines: DataFrame) -> DataFrame:
@@ -104,6 +111,15 @@ def _variant_rows(lines: DataFrame) -> DataFrame:
     return lines.select("h", "line").mapInArrow(run, "h bigint, place int, key bigint")
 
 
+def _salts(bits: str) -> Column:
+    """The salts that an or of their bits holds."""
+    return F.explode(F.filter(F.sequence(F.lit(0), F.lit(SALTS - 1)), lambda k: F.getbit(F.col(bits), k) == 1))
+
+
+def _bit(salt: str) -> Column:
+    return F.bit_or(F.expr(f"shiftleft(1L, {salt})"))
+
+
 def _with_shared_key(rows: DataFrame) -> DataFrame:
     """Rows (h, key, ...) whose key another h has too.
 
@@ -111,31 +127,41 @@ def _with_shared_key(rows: DataFrame) -> DataFrame:
     the picking read that exchange; a key that very many lines share is spread
     over as many tasks as there are salts.
     """
-    dealt = rows.withColumn("salt", F.pmod("h", F.lit(SALTS))).repartition("key", "salt")
+    dealt = rows.withColumn("salt", F.pmod("h", F.lit(SALTS)).cast("int")).repartition("key", "salt")
     part = dealt.groupBy("key", "salt").agg(F.min("h").alias("a"), F.max("h").alias("z"))
-    shared = part.groupBy("key").agg(F.min("a").alias("a"), F.max("z").alias("z")).where("a != z")
-    shared = shared.select("key", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(SALTS - 1).cast("bigint"))).alias("salt"))
-    return dealt.join(shared, ["key", "salt"], "left_semi").drop("salt")
+    shared = part.groupBy("key").agg(F.min("a").alias("a"), F.max("z").alias("z"), _bit("salt").alias("bits")).where("a != z")
+    return dealt.join(shared.select("key", _salts("bits").alias("salt")), ["key", "salt"], "left_semi").drop("salt")
 
 
-def repeated_lines(docs: DataFrame, *, text: str = "text", id: str = "doc_id", max_edits: int = 1, min_chars: int = 10, min_fuzzy_chars: int = 24) -> DataFrame:
+def repeated_lines(docs: DataFrame, *, text: str = "text", id: str = "doc_id", max_edits: int = 1, min_chars: int = 1, min_fuzzy_chars: int = 24) -> DataFrame:
     """(id, no) of every line occurrence to remove."""
+    numbered, row, th = number_rows(docs, text)
+    gone = _repeated(numbered, text, id, row, th, max_edits, min_chars, min_fuzzy_chars)
+    return gone.join(numbered.select(F.col(row).alias("row"), F.col(id).alias("id")), "row").select("id", "no")
+
+
+def _repeated(numbered: DataFrame, text: str, id: str, row: str, th: str, max_edits: int, min_chars: int, min_fuzzy_chars: int) -> DataFrame:
+    """(row, no) of every line occurrence to remove."""
     if max_edits not in (0, 1):
         raise ValueError("deletion keys are emitted for 0 or 1 edits")
-    lines = cut(_lines(docs, text, id, min_chars, min_fuzzy_chars, max_edits > 0))
-    distinct = lines.groupBy("h", "h2").agg(F.min(F.struct("id", "no")).alias("first"), F.count(F.lit(1)).alias("n"))
-    late = lines.join(distinct.where("n > 1").select("h", "h2", "first"), ["h", "h2"]).where(~(F.col("id").eqNullSafe(F.col("first.id")) & (F.col("no") == F.col("first.no")))).select("id", "no")
+    rows = numbered.where(F.col(text).isNotNull()).select(F.col(text).alias("t"), F.col(id).alias("id"), F.col(th).alias("th"), F.col(row).alias("row"))
+    lines = cut(_lines(rows, min_chars, min_fuzzy_chars, max_edits > 0))
+    place = F.struct("id", "th", "row", "no")
+    dealt = lines.select("h", "h2", "id", "th", "row", "no", F.pmod("row", F.lit(SALTS)).cast("int").alias("salt")).repartition("h", "h2", "salt")
+    part = dealt.groupBy("h", "h2", "salt").agg(F.min(place).alias("first"), F.count(F.lit(1)).alias("n"))
+    several = part.groupBy("h", "h2").agg(F.min("first").alias("first"), F.sum("n").alias("n"), _bit("salt").alias("bits")).where("n > 1")
+    several = several.select("h", "h2", F.col("first.row").alias("_row"), F.col("first.no").alias("_no"), _salts("bits").alias("salt"))
+    late = dealt.join(several.hint("merge"), ["h", "h2", "salt"]).where((F.col("row") != F.col("_row")) | (F.col("no") != F.col("_no"))).select("row", "no")
     if not max_edits:
         return late
     # lines of which a half occurs in another line of fitting length
     half = lines.select("h", F.explode("halves").alias("key"))
     may = _with_shared_key(half).select("h").distinct()
     # one occurrence gives the text
-    may_first = cut(lines.select("h", "id", "no").join(may, "h").groupBy("h").agg(F.min(F.struct("id", "no")).alias("first")))
-    wanted = may_first.groupBy(F.col("first.id").alias("_id")).agg(F.collect_list(F.struct(F.col("first.no").alias("no"), "h", "first")).alias("_want"))
-    texts = docs.where(F.col(text).isNotNull()).select(F.col(id).cast("bigint").alias("_id"), F.split(F.col(text), "\n").alias("_l"))
+    may_first = cut(lines.select("h", "id", "th", "row", "no").join(may, "h").groupBy("h").agg(F.min(place).alias("first")))
+    wanted = may_first.groupBy(F.col("first.row").alias("row")).agg(F.collect_list(F.struct(F.col("first.no").alias("no"), "h", "first")).alias("_want"))
     # dealt out at every size: the wanted lines grow with the corpus, so they are never sent to all tasks
-    picked = texts.join(wanted.hint("merge"), "_id").select("_l", F.explode("_want").alias("w")).select(F.col("w.h").alias("h"), F.col("w.first").alias("first"), F.get("_l", F.col("w.no")).alias("line"))
+    picked = rows.select("row", F.split("t", "\n").alias("_l")).join(wanted.hint("merge"), "row").select("_l", F.explode("_want").alias("w")).select(F.col("w.h").alias("h"), F.col("w.first").alias("first"), F.get("_l", F.col("w.no")).alias("line"))
     near = cut(_normal_lines(picked))
     live = _with_shared_key(_variant_rows(near)).join(near.select("h", "first"), "h")
     live = cut(live)
@@ -149,28 +175,31 @@ def repeated_lines(docs: DataFrame, *, text: str = "text", id: str = "doc_id", m
     one, two = near.select("h", F.col("line").alias("x")), near.select(F.col("h").alias("other"), F.col("line").alias("y"))
     true_links = links.join(one, "h").join(two, "other").where(F.levenshtein("x", "y", max_edits).between(0, max_edits))
     gone = cut(true_links.select("h").distinct())
-    return late.unionByName(lines.select("id", "no", "h").join(gone, "h", "left_semi").select("id", "no")).distinct()
+    return late.unionByName(lines.select("row", "no", "h").join(gone, "h", "left_semi").select("row", "no")).distinct()
 
 
 def _normal_lines(picked: DataFrame) -> DataFrame:
-    """Normal forms by the same code that hashed them; repeated ids may give other lines, which are left out."""
+    """Normal forms by the same code that hashed them."""
+    first = picked.schema["first"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             lines = [normal(x or "") for x in batch.column(2).to_pylist()]
-            fits = pa.array([_h128(x.encode("utf-8", "surrogatepass"))[0] == h for x, h in zip(lines, batch.column(0).to_pylist(), strict=True)], pa.bool_())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(lines, pa.string())], ["h", "first", "line"]).filter(fits)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(lines, pa.string())], ["h", "first", "line"])
 
-    return picked.select("h", "first", "line").mapInArrow(run, "h bigint, first struct<id:bigint,no:int>, line string")
+    return picked.select("h", "first", "line").mapInArrow(run, f"h bigint, first {first}, line string")
 
 
-def dedup_lines(docs: DataFrame, *, text: str = "text", id: str = "doc_id", **params) -> DataFrame:
+def dedup_lines(docs: DataFrame, *, text: str = "text", id: str = "doc_id", max_edits: int = 1, min_chars: int = 1, min_fuzzy_chars: int = 24) -> DataFrame:
     """docs with ``text`` without repeated lines, and ``n_lines``, ``n_removed`` (lines with a word)."""
-    gone = repeated_lines(docs, text=text, id=id, **params).groupBy(F.col("id").alias("_id")).agg(F.sort_array(F.collect_list("no")).alias("_gone"))
-    df = docs.join(gone.hint("merge"), F.col(id).cast("bigint").eqNullSafe(F.col("_id")), "left").drop("_id")
-    df = df.withColumn("_all", F.split(F.col(text), "\n"))
-    kept = F.filter("_all", lambda x, i: ~F.array_contains("_gone", i))
-    df = df.withColumn("n_lines", F.coalesce(F.size(F.filter("_all", lambda x: x.rlike("\\S"))), F.lit(0)).cast("bigint"))
-    df = df.withColumn("n_removed", F.coalesce(F.size("_gone"), F.lit(0)).cast("bigint"))
-    df = df.withColumn(text, F.when(F.col("_gone").isNull(), F.col(text)).otherwise(F.concat_ws("\n", kept)))
-    return df.drop("_all", "_gone")
+    numbered, row, th = number_rows(docs, text)
+    gone = _repeated(numbered, text, id, row, th, max_edits, min_chars, min_fuzzy_chars)
+    one, nos, every = (fresh(numbered, n) for n in ("of_row", "gone", "every"))
+    gone = gone.groupBy(F.col("row").alias(one)).agg(F.sort_array(F.collect_list("no")).alias(nos))
+    df = numbered.join(gone.hint("merge"), F.col(row) == F.col(one), "left").drop(one)
+    df = df.withColumn(every, F.split(F.col(text), "\n"))
+    kept = F.transform(F.array_except(F.sequence(F.lit(0), F.size(every) - 1), nos), lambda i: F.get(every, i))
+    df = df.withColumn("n_lines", F.coalesce(F.size(F.filter(every, lambda x: x.rlike("\\S"))), F.lit(0)).cast("bigint"))
+    df = df.withColumn("n_removed", F.coalesce(F.size(nos), F.lit(0)).cast("bigint"))
+    df = df.withColumn(text, F.when(F.col(nos).isNull(), F.col(text)).otherwise(F.concat_ws("\n", kept)))
+    return df.drop(every, nos, row, th)
