@@ -3,10 +3,11 @@
 A fingerprint is embedded as the vector of its segments' bit counts (32 segments
 of two bits). The Manhattan distance of two such vectors never exceeds the
 Hamming distance of the fingerprints, so a range join under it loses no pair.
-The vector is laid out as two grids of 16 segments: if the whole distance is at
-most 3, one half has distance 1 or less, so each fingerprint enters its own cell
-in either grid, looks into the cells one step away, and candidates are verified
-on the fingerprints.
+The range is cut into grid cells by pigeonholes: vectors at distance 3 or less
+agree on one of four blocks of the segments, then on one of four blocks of the rest, and
+once more, so they meet in one of 64 cells, each of which fixes 18 or 19 segments.
+Of unrelated fingerprints one pair in a million meets in any cell. Pairs that meet
+are verified on the fingerprints.
 
 Groups of close copies would make that join quadratic. Before it, fingerprints
 that lie in one ball of radius 1 (at most 65 different ones, any two of them at
@@ -29,7 +30,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rulegraph.llm.common import chunks, cut, words_of
+from rulegraph.llm.common import chunks, cut, number_rows, words_of
 from rulegraph.llm.components import connected_components
 
 BLOCK_BYTES = 2_000_000
@@ -68,55 +69,73 @@ def _ball(fp: Column) -> Column:
     return F.array(fp, *[fp.bitwiseXOR(F.lit(1 << i if i < 63 else -(1 << 63)).cast("bigint")) for i in range(64)])
 
 
-def _counts(fp: Column, half: int) -> Column:
-    """Bit counts of a half's 16 two-bit segments, packed two bits each."""
-    low = F.lit(0x55555555)
-    own = F.shiftrightunsigned(fp, 32 * half)
-    return own.bitwiseAND(low) + F.shiftrightunsigned(own, 1).bitwiseAND(low)
+def _counts(fp: Column) -> Column:
+    """Bit counts of the 32 two-bit segments, packed two bits each."""
+    low = F.lit(0x5555555555555555)
+    even, odd = fp.bitwiseAND(low), F.shiftrightunsigned(fp, 1).bitwiseAND(low)
+    # a sum of two bits without a carry out of the highest segment
+    return even.bitwiseXOR(odd).bitwiseOR(F.shiftleft(even.bitwiseAND(odd), 1))
 
 
-def _steps(cell: Column) -> Column:
-    """A half's 16 packed counts, and every vector one step away: counts stay within 0 to 2."""
-    near = [cell]
-    for i in range(0, 32, 2):
-        at = F.shiftrightunsigned(cell, i).bitwiseAND(F.lit(3).cast("bigint"))
-        near += [F.when(at < 2, cell + F.lit(1 << i)), F.when(at > 0, cell - F.lit(1 << i))]
-    return F.array_compact(F.array(*near))
+def cell_masks(levels: int = 3, blocks: int = 4, segments: int = 32) -> list[int]:
+    """Segments that a cell fixes, as masks of the packed counts: one block of those left, at each level."""
+    out = [([], list(range(segments)))]
+    for _ in range(levels):
+        deeper = []
+        for fixed, rest in out:
+            for k in range(blocks):
+                own = rest[k * len(rest) // blocks : (k + 1) * len(rest) // blocks]
+                deeper.append((fixed + own, [x for x in rest if x not in own]))
+        out = deeper
+    return [sum(3 << 2 * x for x in fixed) for fixed, _ in out]
+
+
+def _signed(x: int) -> int:
+    return x - (1 << 64) if x >> 63 else x
+
+
+def _cells(fp: Column) -> Column:
+    """Hashes of a fingerprint's grid cells."""
+    counts = _counts(fp)
+    return F.array(*[F.xxhash64(F.lit(k), counts.bitwiseAND(F.lit(_signed(m)).cast("bigint"))) for k, m in enumerate(cell_masks())])
 
 
 def close_links(nodes: DataFrame, max_bits: int = 3) -> DataFrame:
     """(a, b) links whose components are those of all pairs of ``nodes.fp`` at max_bits or less; fp are distinct."""
     if not 0 <= max_bits <= 3:
-        raise ValueError("the two half grids are searched one step away: 0 to 3 bits")
+        raise ValueError("four blocks hold one that agrees: 0 to 3 bits")
     ball = nodes.select("fp", F.explode(_ball(F.col("fp"))).alias("key")) if max_bits >= 2 else nodes.select("fp", F.col("fp").alias("key"))
     # one ball holds 65 fingerprints at most
     held = ball.groupBy("key").agg(F.min("fp").alias("a"), F.max("fp").alias("z"), F.collect_list("fp").alias("all")).where("a != z")
     stars = cut(held.select("a", F.explode("all").alias("b")).where("a != b").distinct())
     roots = connected_components(stars)
     apart = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"))
-    cells = apart.select("fp", "root", F.explode(F.array(*[F.struct(F.lit(k).alias("half"), _counts(F.col("fp"), k).alias("cell")) for k in (0, 1)])).alias("c"))
-    own = cells.select("fp", "root", (F.col("c.cell") * 2 + F.col("c.half")).alias("cell"))
-    seek = cells.select(F.col("fp").alias("fp2"), F.col("root").alias("root2"), F.col("c.half").alias("half"), F.explode(_steps(F.col("c.cell"))).alias("near"))
-    seek = seek.select("fp2", "root2", (F.col("near") * 2 + F.col("half")).alias("cell2"))
+    own = apart.select("fp", "root", F.explode(_cells(F.col("fp"))).alias("cell"))
+    seek = own.select(F.col("fp").alias("fp2"), F.col("root").alias("root2"), F.col("cell").alias("cell2"))
     found = own.join(seek, (F.col("cell") == F.col("cell2")) & (F.col("root") < F.col("root2")) & (F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2"))) <= max_bits))
     far = found.select(F.col("root").alias("a"), F.col("root2").alias("b")).distinct()
     return stars.select("a", "b").unionByName(far)
 
 
+def _grouped(marked: DataFrame, least: Column, max_bits: int) -> DataFrame:
+    """(fp, least) of marked rows: the least value of the group that each fingerprint belongs to."""
+    nodes = cut(marked.groupBy("fp").agg(F.min(least).alias("least")))
+    roots = cut(connected_components(close_links(nodes.select("fp"), max_bits)))
+    in_group = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    return in_group.join(in_group.groupBy("root").agg(F.min("least").alias("smallest")), "root").select("fp", F.col("smallest").alias("least"))
+
+
 def near_duplicates(docs: DataFrame, *, text: str = "text", id: str = "doc_id", max_bits: int = 3, width: int = 3, seed: int = 42) -> DataFrame:
     """One row a document: id, fp, component_id (smallest id reachable over links of max_bits or less)."""
     marked = cut(fingerprints(docs, text=text, keep=[id], width=width, seed=seed))
-    nodes = cut(marked.groupBy("fp").agg(F.min(id).alias("least")))
-    roots = cut(connected_components(close_links(nodes.select("fp"), max_bits)))
-    in_group = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    named = in_group.join(in_group.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("fp", "component_id")
-    return marked.join(named, "fp").select(id, "fp", "component_id")
+    named = _grouped(marked, F.col(id), max_bits)
+    return marked.join(named, "fp").select(id, "fp", F.col("least").alias("component_id"))
 
 
-def drop_near_duplicates(docs: DataFrame, *, text: str = "text", id: str = "doc_id", **params) -> DataFrame:
-    """docs with one document of each group: the row with the smallest id, one of them if rows share it."""
-    groups = cut(near_duplicates(docs, text=text, id=id, **params))
-    stay = groups.where((F.col(id) == F.col("component_id")) | F.col("component_id").isNull()).select(F.col(id).alias("_id")).distinct()
-    kept = docs.join(stay, F.col(id).eqNullSafe(F.col("_id")), "left_semi")
-    twice = groups.join(stay, F.col(id).eqNullSafe(F.col("_id")), "left_semi").groupBy(id).count().where("count > 1").limit(1).count()
-    return kept.dropDuplicates([id]) if twice else kept
+def drop_near_duplicates(docs: DataFrame, *, text: str = "text", id: str = "doc_id", max_bits: int = 3, width: int = 3, seed: int = 42) -> DataFrame:
+    """docs with one row of each group: that with the smallest id (null is the last), then text hash, then row."""
+    numbered, row, th = number_rows(docs, text)
+    marked = cut(fingerprints(numbered, text=text, keep=[id, row, th], width=width, seed=seed))
+    least = F.struct(F.col(id).isNull().alias("null"), F.col(id).alias("id"), F.col(th).alias("th"), F.col(row).alias("row"))
+    stay = _grouped(marked, least, max_bits).select(F.col("least.row").alias(row)).distinct()
+    return numbered.join(stay, row, "left_semi").select(*docs.columns)
