@@ -1,6 +1,7 @@
 """Language id, simhash, line dedup, quality, mixing and packing against plain Python and DuckDB."""
 
 import math
+import time
 import zlib
 from collections import Counter
 
@@ -87,6 +88,7 @@ def test_simhash_equals_brute_force(spark):
     expected = sorted((str(r["doc_id"]), brute_fingerprint(r["text"])) for r in d.collect())
     assert sorted((str(r["doc_id"]), r["fp"] % (1 << 64)) for r in rows) == expected
     fps = [(r["doc_id"], r["fp"] % (1 << 64)) for r in rows]
+    groups = set()
     for r in rows:
         seen, todo = set(), [r["fp"] % (1 << 64)]
         while todo:
@@ -96,9 +98,10 @@ def test_simhash_equals_brute_force(spark):
                     seen.add(g)
                     todo.append(g)
         assert r["component_id"] == min((i for i, g in fps if g in seen and i is not None), default=None)
+        groups.add(min(seen | {r["fp"] % (1 << 64)}))
     assert simhash.near_duplicates(empty(spark)).count() == 0
     kept = simhash.drop_near_duplicates(d).collect()
-    assert len(kept) == len({r["component_id"] for r in rows})
+    assert len(kept) == len(groups)
 
 
 def test_close_links_find_every_component(spark):
@@ -125,6 +128,28 @@ def test_close_links_find_every_component(spark):
     assert {f: got.get(f, f) for f in fps} == label
 
 
+def test_vectors_at_three_bits_share_a_cell():
+    rng = np.random.default_rng(6)
+    counts = lambda f: (f & 0x5555555555555555) + (f >> 1 & 0x5555555555555555)
+    masks = simhash.cell_masks()
+    assert len(masks) == 64
+    for _ in range(2000):
+        f = int(rng.integers(0, 2**63)) * 2 + int(rng.integers(0, 2))
+        g = f
+        for b in rng.integers(0, 64, 3):
+            g ^= 1 << int(b)
+        assert any(counts(f) & m == counts(g) & m for m in masks)
+
+
+def test_unlike_rows_that_share_an_id_both_stay(spark):
+    base = " ".join(f"w{i}" for i in range(60))
+    other = " ".join(f"v{i}" for i in range(60))
+    d = docs(spark, [(1, base, None), (1, other, None), (2, base, None), (3, base, None), (None, other + " x", None), (None, None, None), (4, None, None)])
+    assert sorted((str(r["doc_id"]), str(r["text"])[:2]) for r in simhash.drop_near_duplicates(d, max_bits=0).collect()) == sorted([("1", "w0"), ("1", "v0"), ("None", "v0"), ("4", "No")])
+    assert simhash.drop_near_duplicates(d).columns == d.columns
+    assert simhash.drop_near_duplicates(empty(spark)).count() == 0
+
+
 def test_components_of_chains_have_one_root(spark):
     chain = [1, 10, 5, 11, 2]
     rng = np.random.default_rng(4)
@@ -161,7 +186,7 @@ def test_line_dedup_equals_brute_force(spark):
     for i, t, _ in rows:
         for no, line in enumerate((t or "").split("\n")):
             x = line.strip().lower()
-            if len(x) >= 10:
+            if x:
                 first.setdefault(x, (i, no))
                 occ.append((i, no, x))
     near = {x for x in first if len(x) >= 24 and any(len(y) >= 24 and first[y] < first[x] and x != y and levenshtein(x, y) <= 1 for y in first)}
@@ -175,6 +200,29 @@ def test_line_dedup_equals_brute_force(spark):
     assert line_dedup.dedup_lines(empty(spark)).count() == 0
 
 
+def test_lines_of_rows_with_equal_or_null_ids_stay_apart(spark):
+    a, b = "alpha line that is long enough to compare", "beta line that is quite another one here"
+    c, e = "gamma line which nobody else has written", "delta line and the last of all of these"
+    rows = [(0, a, None), (1, f"{a}\n{c}", None), (1, f"{b}\n{e}", None), (2, "dup line of a row that comes twice\nx", None), (2, "dup line of a row that comes twice\nx", None)]
+    out = [(r["doc_id"], r["text"], r["n_removed"]) for r in line_dedup.dedup_lines(docs(spark, rows)).collect()]
+    assert sorted(out) == sorted([(0, a, 0), (1, c, 1), (1, f"{b}\n{e}", 0), (2, rows[3][1], 0), (2, "", 2)])
+    # a null id comes first, and its line's near copy is found
+    rows = [(None, a, None), (5, a.replace("alpha", "alphas"), None), (None, b, None)]
+    out = [(r["doc_id"], r["text"]) for r in line_dedup.dedup_lines(docs(spark, rows)).collect()]
+    assert sorted(map(str, out)) == sorted(map(str, [(None, a), (None, b), (5, "")]))
+    named = docs(spark, rows).withColumn("doc_id", F.concat(F.lit("id "), F.col("doc_id").cast("string"))).withColumn("row", F.lit(7)).withColumn("text_hash", F.lit(7))
+    got = line_dedup.dedup_lines(named)
+    assert got.columns == [*named.columns, "n_lines", "n_removed"] and {r["row"] for r in got.collect()} == {7}
+    assert got.where("n_removed > 0").count() == 1
+
+
+def test_a_line_in_most_rows_is_removed_from_all_but_one(spark):
+    line = "a line that nearly every row of the table has"
+    rows = [(i, f"{line}\nown line of row {i:04d} with the number {i * 7919 % 1000:03d} {i * 31 % 977:03d}", None) for i in range(300)]
+    out = line_dedup.dedup_lines(docs(spark, rows).repartition(7)).collect()
+    assert sum(line in r["text"] for r in out) == 1 and next(r["doc_id"] for r in out if line in r["text"]) == 0
+
+
 def test_half_keys_are_shared_by_all_lines_within_one_edit():
     s = "abcdefghijk"
     others = [s[:i] + s[i + 1 :] for i in range(len(s))] + [s[:i] + "z" + s[i:] for i in range(len(s) + 1)] + [s[:i] + "z" + s[i + 1 :] for i in range(len(s))]
@@ -261,13 +309,23 @@ PAGES = [
     ("<html><body><nav><a href=1>Menu</a></nav><div class='ad'>Buy</div><article><h1>Title &amp; more</h1><p>One, two.<p>Three <b>four<br>five</p></article><footer>&copy;</footer></body></html>", "Title & more\nOne, two.\nThree four five"),
     ("<body><header>Site</header><div id=main><p>First paragraph, with some commas, and length enough to count.</p><p>Second one, also long enough, to be counted here.</p></div><div class='sidebar'><p>Side, text, here, with, commas, and, so, on, for, ever.</p></div><section id='comments'><p>Nice, post, friend, I, agree, with, this, very, much.</p></section></body>", "First paragraph, with some commas, and length enough to count.\nSecond one, also long enough, to be counted here."),
     ("<p>Unclosed <i>and plain", "Unclosed and plain"),
-    ("just text &lt;3  with\n spaces", "just text <3 with spaces"),
+    ("just text &lt;3  with\n spaces", "just text <3 with spaces"), ('<p class="x>First', "First"), ('<p class="x>First</p><p>Second, and more</p><b', "First\nSecond, and more"),
+    ("<body><article><p>Short teaser.</p></article><div>" + "<p>Long paragraph, with many commas, and much text, which goes on, and on.</p>" * 3 + "</div></body>", "\n".join(["Long paragraph, with many commas, and much text, which goes on, and on."] * 3)),
     ("<body><script>var a='<p>no</p>';</script><style>p{}</style><!-- <p>no</p> --><p>Yes</p><form><p>Your name</p></form></body>", "Yes"),
     ("<article><p>Body text.</p><ul><li><a href=1>Link one</a><li><a href=2>Link two</a><li><a href=3>Link three</a></ul><ul><li>Point one<li>Point two</ul></article>", "Body text.\nPoint one\nPoint two"),
     ("", ""), (None, ""), ("<nav><p>only menu</p></nav>", ""),
 ]
 
 
+def test_deep_and_broken_pages_take_linear_time():
+    n = 100_000
+    pages = ["<div>" * n + "text, here", "<b>" * n + "<p>x</p>y" * n, '<p class="x>a ' * n, "<a b='x \" " * n, "<a " * n, "<p " + "a" * 10 * n + ">t", "<table>" + "<span>" * n + "<tr><td>x" * n, "<article>" * n + "<p>t", "<div>" * n + "<a href=1>x</a>" * n, "x" * 50 * n]
+    began = time.perf_counter()
+    texts = [html_text.main_text(p) for p in pages]
+    assert time.perf_counter() - began < 60
+    assert texts[0] == "text, here" and texts[4] == "" and texts[5] == "t" and texts[7] == "t" and len(texts[-1]) == 50 * n
+
+
 def test_main_text_of_pages(spark):
     for html, want in PAGES:
         assert html_text.main_text(html) == want
