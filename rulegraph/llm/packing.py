@@ -24,6 +24,7 @@ import re
 import struct
 import unicodedata
 import zlib
+from array import array
 from bisect import bisect_left, insort
 from collections import defaultdict
 from collections.abc import Iterator
@@ -96,7 +97,13 @@ class WordTokenizer:
     def _word(self, w: str) -> bytes:
         got = self.older.get(w)
         if got is None:
-            if self.short and "<|" not in w and self.latin(w):
+            if self.short and w.isascii() and w.isalpha():
+                # most words: one piece, nothing to normalise
+                low = w.lower()
+                got = self.older.get(low) if low != w else None
+                if got is None:
+                    got = array("I", [t.id for t in self.bpe(low)]).tobytes()
+            elif self.short and "<|" not in w and self.latin(w):
                 low = w.lower() if w.isascii() else "".join(map(str.lower, unicodedata.normalize("NFC", w)))
                 if low.isalpha():
                     got = self._piece(low)
