@@ -6,7 +6,7 @@ from pyspark import StorageLevel
 from pyspark.sql import functions as F
 
 from rulegraph.plans.compile import Compiler
-from rulegraph.plans.reason import Reasoner, clauses_of, stratify
+from rulegraph.plans.reason import DepthExceeded, Reasoner, clauses_of, stratify
 from rulegraph.plans.translate import relational_rules
 from rulegraph.sources.graphs import Graph, MappedGraph, TripleGraph, View, to_text
 from rulegraph.storage import cut, new_path
@@ -24,26 +24,32 @@ def query_loop(graph: Graph, rules: list[Rule], reads: tuple[str, ...], max_roun
     clauses = clauses_of(rules)
     known: dict[str, View] = {}
     sizes: dict[str, int] = {}
-    # negation still needs the strata below to be finished
-    for group in stratify(clauses):
-        for _ in range(max_rounds):
-            now = base.with_views(known)
-            reasoner = Reasoner(now)
-            ready = [c for c in group if _ready(c, now)]
-            grown = False
-            for p, v in reasoner._gather(ready, now).items():
-                df = v.df.select("s", "o")
-                if p in known:
-                    df = df.unionByName(known[p].df.select("s", "o"))
-                elif p in held:
-                    df = df.unionByName(held[p].df.select("s", "o"))
-                made = cut(df.distinct())
-                n = made.count()
-                grown |= n != sizes.get(p, -1)
-                known[p], sizes[p] = View(made, v.s, v.o), n
-            if not grown:
-                break
-    return base.with_views(known)
+    try:
+        # negation still needs the strata below to be finished
+        for group in stratify(clauses):
+            for _ in range(max_rounds):
+                now = base.with_views(known)
+                reasoner = Reasoner(now)
+                ready = [c for c in group if _ready(c, now)]
+                grown = False
+                for p, v in reasoner._gather(ready, now).items():
+                    df = v.df.select("s", "o")
+                    if p in known:
+                        df = df.unionByName(known[p].df.select("s", "o"))
+                    elif p in held:
+                        df = df.unionByName(held[p].df.select("s", "o"))
+                    made = cut(df.distinct())
+                    n = made.count()
+                    grown |= n != sizes.get(p, -1)
+                    known[p], sizes[p] = View(made, v.s, v.o), n
+                if not grown:
+                    break
+            else:
+                raise DepthExceeded(f"no end after {max_rounds} rounds")
+    finally:
+        for v in held.values():
+            v.df.unpersist()
+    return graph.with_views(known)
 
 
 def _ready(c, graph: Graph) -> bool:
@@ -105,6 +111,8 @@ def persistent_recursive(graph: Graph, rules: list[Rule], reads: tuple[str, ...]
                     grown = True
             if not grown:
                 break
+        else:
+            raise DepthExceeded(f"no end after {max_rounds} rounds")
     return stored
 
 

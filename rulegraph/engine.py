@@ -87,13 +87,17 @@ class Engine:
         return triples_to_rule([tuple(r) for r in triples.collect()])
 
     def forward(self, texts: Iterable[str], strategy: str = "seminaive", **params) -> Result:
-        return Reasoner(self.graph, **params).forward(self.rules(texts), strategy)
+        with self.phase("forward", strategy=strategy) as made:
+            result = made["result"] = Reasoner(self.graph, **params).forward(self.rules(texts), strategy)
+        return result
 
     def closure(self, texts: Iterable[str], **params) -> Graph:
         return self.forward(texts, **params).graph
 
     def backward(self, goal: str, texts: Iterable[str], strategy: str = "demand", **params) -> tuple[DataFrame, Result]:
-        return Reasoner(self.graph, **params).backward(goal_of(goal), self.rules(texts), strategy)
+        with self.phase("backward", strategy=strategy) as made:
+            df, made["result"] = Reasoner(self.graph, **params).backward(goal_of(goal), self.rules(texts), strategy)
+        return df, made["result"]
 
     def reason(self, texts: Iterable[str], goal: str | None = None, **params):
         return Reasoner(self.graph, **params).reason(self.rules(texts), goal_of(goal) if goal else None)
@@ -111,6 +115,14 @@ class Engine:
     def register_filter(self, name: str, column_fn: Callable[..., Column]) -> None:
         expressions.register_filter(name, column_fn)
 
+    def register_aggregate(self, name: str, column_fn: Callable[..., Column]) -> None:
+        """An aggregate of a column, built in or a grouped-aggregate Pandas UDF, for query text."""
+        expressions.register_aggregate(name, column_fn)
+
+    def register_table_function(self, name: str, handler: type, return_type: str) -> None:
+        """A Python table function for SQL over the views of ``sql_view``."""
+        self.spark.udtf.register(name, F.udtf(handler, returnType=return_type))
+
     def register_pandas_udf(self, name: str, fn: Callable, return_type: str) -> None:
         udf = F.pandas_udf(fn, return_type)
         expressions.register_filter(name, lambda *a: udf(*a))
@@ -119,9 +131,18 @@ class Engine:
 
     @contextmanager
     def phase(self, name: str, **tags):
-        began = time.perf_counter()
-        yield
+        """Times what stands inside; a Result put into the yielded dict adds its rounds to the metrics."""
+        began, made = time.perf_counter(), {}
+        yield made
         self.timings.append({"phase": name, "seconds": time.perf_counter() - began, **tags})
+        if "result" in made:
+            self.timings += [{"phase": f"{name} round", "seconds": r.seconds, "stratum": r.stratum, "round": r.number, "predicate": r.predicate, "rows": r.kept, **tags} for r in made["result"].rounds]
+
+    def metrics(self) -> DataFrame:
+        """Seconds of every phase so far, and rows and seconds of every round of reasoning."""
+        names = ("phase", "strategy", "stratum", "round", "predicate", "rows", "seconds")
+        rows = [tuple(t.get(n) for n in names) for t in self.timings]
+        return self.spark.createDataFrame(rows, "phase string, strategy string, stratum int, round int, predicate string, rows bigint, seconds double")
 
     def compliance(self) -> DataFrame:
         return self.spark.createDataFrame(list(COMPLIANCE), "form string, supported boolean")

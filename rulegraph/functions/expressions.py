@@ -59,6 +59,15 @@ def expr_vars(e: object) -> frozenset[str]:
 REGISTERED: dict[str, Callable[..., Column]] = {}
 
 
+#: Aggregates that users have added: name -> function of a column.
+AGGREGATES: dict[str, Callable[..., Column]] = {}
+
+
+def register_aggregate(name: str, column_fn: Callable[..., Column]) -> None:
+    """Make an aggregate of a column callable from query text."""
+    AGGREGATES[name.lower()] = column_fn
+
+
 def register_filter(name: str, column_fn: Callable[..., Column]) -> None:
     """Make a function of columns callable from query text."""
     REGISTERED[name.lower()] = column_fn

@@ -38,26 +38,45 @@ def closure(edges: DataFrame, *, doubling: bool = False, max_rounds: int = 1000)
     return known.select("s", "o")
 
 
-def reachable(edges: DataFrame, start: DataFrame, max_rounds: int = 1000) -> DataFrame:
-    """(x,) reached from start's x by one or more edges: a frontier that never visits twice."""
+#: Rows up to which a frontier may take several steps in one job.
+HOP_ROWS = 100_000
+
+
+def reachable(edges: DataFrame, start: DataFrame, max_rounds: int = 1000, hops: int = 8) -> DataFrame:
+    """(x,) reached from start's x by one or more edges: a frontier that never visits twice.
+
+    While it is small, one job takes it two, four, up to ``hops`` steps on; what it
+    meets again on the way is dropped as it is written, and the next job
+    starts from what the last step found.
+    """
     edges = cut(edges.select("s", "o").distinct())
     spark = edges.sparkSession
     path = new_path(spark, "reach")
-    frontier, rounds = start.select("x").distinct(), 0
+    frontier, folders, rounds, many = start.select("x").distinct(), [], 0, 1
+    rows = None
     while True:
-        found = frontier.join(edges, F.col("x") == F.col("s")).select(F.col("o").alias("x")).distinct()
-        if rounds:
-            seen = spark.read.schema(found.schema).parquet(*[f"{path}/round={r}" for r in range(rounds)])
-            found = found.join(seen, "x", "left_anti")
-        found.write.parquet(f"{path}/round={rounds}")
-        frontier = spark.read.schema(found.schema).parquet(f"{path}/round={rounds}")
-        rounds += 1
-        if frontier.limit(1).count() == 0:
-            break
         if rounds >= max_rounds:
             raise RuntimeError(f"no end after {max_rounds} rounds")
+        many = min(2 * many, hops, max_rounds - rounds) if rows is not None and rows <= HOP_ROWS else 1
+        found = None
+        for k in range(many):
+            frontier = frontier.join(edges, F.col("x") == F.col("s")).select(F.col("o").alias("x")).distinct()
+            marked = frontier.select("x", F.lit(k == many - 1).alias("last"))
+            found = marked if found is None else found.unionByName(marked)
+        if many > 1:
+            found = found.groupBy("x").agg(F.max("last").alias("last"))
+        if folders:
+            found = found.join(spark.read.schema(schema).parquet(*folders).select("x"), "x", "left_anti")
+        schema = found.schema
+        folders.append(f"{path}/round={rounds}")
+        found.write.parquet(folders[-1])
+        rounds += many
+        frontier = spark.read.schema(schema).parquet(folders[-1]).where("last").select("x")
+        rows = frontier.count()
+        if rows == 0:
+            break
     drop_cut(edges)
-    return spark.read.schema(frontier.schema).parquet(*[f"{path}/round={r}" for r in range(rounds)])
+    return spark.read.schema(schema).parquet(*folders).select("x")
 
 
 def path_view(graph: Graph, p: A.Path, s: object = None, o: object = None) -> View:

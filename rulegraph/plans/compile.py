@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rulegraph.functions.expressions import Expr, expr_vars, to_column
+from rulegraph.functions import expressions
 from rulegraph.operators import paths
 from rulegraph.operators import solutions as S
 from rulegraph.operators.solutions import Solutions, q
@@ -144,7 +145,7 @@ class Compiler:
         out, kinds = [], {k: sol.kinds[k] for k in p.keys}
         for name, fn, arg, distinct in p.aggs:
             c = self.column(arg, sol) if arg is not None else F.lit(1)
-            made = {
+            builtin = {
                 "count": lambda c: F.count_distinct(c) if distinct else F.count(c),
                 "sum": lambda c: F.sum_distinct(c) if distinct else F.sum(c),
                 "min": F.min,
@@ -152,7 +153,8 @@ class Compiler:
                 "avg": F.avg,
                 "sample": F.min,
                 "group_concat": lambda c: F.concat_ws(" ", F.sort_array(F.collect_set(c.cast("string")) if distinct else F.collect_list(c.cast("string")))),
-            }[fn](c)
+            }
+            made = expressions.AGGREGATES[fn](c) if fn in expressions.AGGREGATES else builtin[fn](c)
             out.append(made.alias(name))
             kinds[name] = Kind("lit", "integer" if fn == "count" else "computed")
         df = sol.df.groupBy(*map(q, p.keys)).agg(*out) if p.keys else sol.df.agg(*out)

@@ -22,6 +22,7 @@ from itertools import count
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from rulegraph.operators import paths
 from rulegraph.operators.solutions import Solutions, q
@@ -183,6 +184,12 @@ class Result:
     graph: Graph
     derived: dict[str, View]
     rounds: list[Round] = field(default_factory=list)
+    #: with ``explain_derivations``: (s, o, rule, round) by predicate
+    origins: dict[str, DataFrame] = field(default_factory=dict)
+
+    def derivations(self, predicate: str) -> DataFrame:
+        """The round in which each pair was first found, and a rule that found it then (the first by name; "given" for the graph's own)."""
+        return self.origins[predicate]
 
     def view(self, predicate: str) -> DataFrame:
         return self.derived[predicate].df.select("s", "o")
@@ -192,10 +199,12 @@ class Result:
 
 
 class Reasoner:
-    def __init__(self, graph: Graph, *, small_rows: int = 500, max_rounds: int = 500, max_skolem_depth: int = 8, row_budget: int | None = None, on_cycle: str = "error"):
+    def __init__(self, graph: Graph, *, max_hops: int = 8, hop_rows: int = 100_000, max_rounds: int = 500, max_skolem_depth: int = 8, row_budget: int | None = None, on_cycle: str = "error", explain_derivations: bool = False):
         self.graph, self.spark = graph, graph.spark
-        #: Rounds that find no more rows than this keep them in the plan instead of a folder.
-        self.small_rows = small_rows
+        #: Whether to keep the rule and the round of each pair; rounds are then run one by one.
+        self.explaining, self.origins = explain_derivations, {}
+        #: Rounds that one job may chain, and the rows that the round before it may have found for that.
+        self.max_hops, self.hop_rows = 1 if explain_derivations else max_hops, hop_rows
         self.max_rounds, self.max_skolem_depth, self.row_budget, self.on_cycle = max_rounds, max_skolem_depth, row_budget, on_cycle
 
     # -------------------------------------------------------- one clause
@@ -240,6 +249,8 @@ class Reasoner:
             p = c.head.p.value
             if any(isinstance(x, Blank) for x in (c.head.s, c.head.o)):
                 v = View(v.df.where("s is not null and o is not null"), v.s, v.o)
+            if self.explaining:
+                v = View(v.df.select("s", "o", F.lit(c.name).alias("rule")), v.s, v.o)
             if p in out:
                 if not (out[p].s.meets(v.s) and out[p].o.meets(v.o)):
                     raise TypeError(f"{p} is derived with different kinds: {out[p].s}, {v.s}; {out[p].o}, {v.o}")
@@ -249,6 +260,18 @@ class Reasoner:
 
     # -------------------------------------------------------- bottom-up
 
+    def _once(self, v: View, base: View | None = None) -> DataFrame:
+        """Distinct pairs, with one rule each if derivations are kept."""
+        cols = ["s", "o", "rule"] if self.explaining else ["s", "o"]
+        df = v.df.select(*cols)
+        if base is not None:
+            own = base.df.select("s", "o")
+            df = df.unionByName(own.withColumn("rule", F.lit("given")) if self.explaining else own)
+        if not self.explaining:
+            return df.distinct()
+        # what is given is not derived; else the first rule by name
+        return df.groupBy("s", "o").agg(F.coalesce(F.max(F.when(F.col("rule") == "given", F.lit("given"))), F.min("rule")).alias("rule"))
+
     def forward(self, rules, strategy: str = "seminaive", clauses: list[Clause] | None = None) -> Result:
         """All that the rules derive. strategy: seminaive, naive (all facts, each round) or doubling (transitive rules by squaring)."""
         clauses = clauses if clauses is not None else clauses_of(rules)
@@ -260,15 +283,17 @@ class Reasoner:
                 made = {}
                 for p, v in self._gather(group, graph).items():
                     base = graph.view(p) if p in graph.predicates() else None
-                    df = v.df if base is None else v.df.unionByName(base.df.select("s", "o"))
-                    made[p] = View(df.distinct(), v.s, v.o)
-            elif strategy == "doubling" and (fast := self._transitive(group, graph)):
+                    df = self._once(v, base)
+                    if self.explaining:
+                        self.origins[p] = df.withColumn("round", F.lit(0))
+                    made[p] = View(df, v.s, v.o)
+            elif strategy == "doubling" and not self.explaining and (fast := self._transitive(group, graph)):
                 made = fast
             else:
                 made = self._fixpoint(group, graph, names, strategy, i, rounds)
             derived |= made
             graph = graph.with_views(made)
-        return Result(graph, derived, rounds)
+        return Result(graph, derived, rounds, dict(self.origins))
 
     def _transitive(self, group: list[Clause], graph: Graph) -> dict[str, View] | None:
         """The closure of a lone predicate whose only recursive rule is transitivity."""
@@ -308,72 +333,46 @@ class Reasoner:
         path, kinds, schema = new_path(spark, "fix"), {}, {}
         for p in sorted(names):
             base = graph.view(p) if p in graph.predicates() else None
-            parts = [x for x in (first.get(p), base) if x is not None]
-            if parts:
-                df = parts[0].df.select("s", "o")
-                for x in parts[1:]:
-                    df = df.unionByName(x.df.select("s", "o"))
-                first[p] = View(df.distinct(), parts[0].s, parts[0].o)
+            if p in first:
+                first[p] = View(self._once(first[p], base), first[p].s, first[p].o)
+            elif base is not None:
+                df = base.df.select("s", "o")
+                first[p] = View(self._once(View(df.withColumn("rule", F.lit("given")) if self.explaining else df, base.s, base.o)), base.s, base.o)
         # kinds of predicates without a start follow from the rules, as soon as these can run
         pending = [p for p in names if p not in first]
         delta: dict[str, View] = {}
         filled: dict[str, list[str]] = {p: [] for p in names}
 
-        inline: dict[str, list[tuple]] = {p: [] for p in names}
-        last: dict[str, int] = {}
-
-        def rows_frame(p: str, rows: list[tuple]) -> DataFrame:
-            """A few rows as part of the plan."""
-            body = ", ".join(f"({a}L, {b}L)" for a, b in rows)
-            return spark.sql(f"SELECT * FROM VALUES {body} AS t(s, o)")
-
-        def write(p: str, number: int, df: DataFrame) -> int:
-            df = df.select(*[F.col(x.name).cast(x.dataType) for x in schema[p]])
-            if last.get(p, self.small_rows + 1) <= self.small_rows and all(x.dataType.simpleString() == "bigint" for x in schema[p]):
-                rows = [tuple(r) for r in df.limit(self.small_rows + 1).collect()]
-                if len(rows) <= self.small_rows and all(x is not None and abs(x) < 1 << 62 for r in rows for x in r):
-                    last[p] = len(rows)
-                    if rows:
-                        delta[p] = View(rows_frame(p, rows), *kinds[p])
-                        inline[p] += rows
-                    if len(inline[p]) > self.small_rows:
-                        target = f"{path}/{abs(hash(p)) % 10**12}/rows={number}"
-                        rows_frame(p, inline[p]).write.parquet(target)
-                        filled[p].append(target)
-                        inline[p] = []
-                    return len(rows)
-            target = f"{path}/{abs(hash(p)) % 10**12}/round={number}"
-            df.write.parquet(target)
+        linear = strategy != "naive" and all(sum(p in names for p, _ in uses(c.body)) <= 1 for c in loop)
+
+        def folder(p: str, number: int) -> str:
+            return f"{path}/{sorted(names).index(p)}/round={number}"
+
+        def write(p: str, number: int, df: DataFrame, hops: int = 1) -> int:
+            """Rows written; those of the last of several hops, marked as such, are the next delta."""
+            cols = [F.col(x.name).cast(x.dataType) for x in schema[p]]
+            target = folder(p, number)
+            df.select(*cols, *(["rule"] if self.explaining else []), *(["last"] if hops > 1 else [])).write.parquet(target)
             filled[p].append(target)
-            made = spark.read.schema(schema[p]).parquet(target)
-            n = last[p] = made.count()
-            delta[p] = View(made, *kinds[p])
+            made = spark.read.schema(schema[p] if hops == 1 else StructType([*schema[p].fields]).add("last", "boolean")).parquet(target)
+            n, fresh = made.agg(F.count(F.lit(1)), F.count_if(F.col("last")) if hops > 1 else F.count(F.lit(1))).first()
+            if fresh:
+                delta[p] = View(made.where("last").select("s", "o") if hops > 1 else made, *kinds[p])
+                found_rows[p] = fresh
             return n
 
         def known(p: str) -> View:
-            df = spark.read.schema(schema[p]).parquet(*filled[p])
-            if inline[p]:
-                df = df.unionByName(rows_frame(p, inline[p]))
-            return View(df, *kinds[p])
+            return View(spark.read.schema(schema[p]).parquet(*filled[p]), *kinds[p])
 
         def start(p: str, v: View, number: int) -> int:
             kinds[p], schema[p] = (v.s, v.o), v.df.select("s", "o").schema
-            return write(p, number, v.df.select("s", "o").distinct())
+            return write(p, number, self._once(v))
 
-        began = time.perf_counter()
-        for p, v in first.items():
-            n = start(p, v, 0)
-            rounds.append(Round(stratum, 0, p, n, time.perf_counter() - began))
-        number = 0
-        while True:
-            number += 1
-            if number > self.max_rounds:
-                raise DepthExceeded(f"no end after {self.max_rounds} rounds")
-            began = time.perf_counter()
-            now = graph.with_views({p: known(p) for p in kinds} | {"Δ" + p: v for p, v in delta.items()})
+        def step(now: Graph, deltas: dict[str, View]) -> dict[str, View]:
+            """What the rules derive from the deltas; from all facts if naive."""
             found: dict[str, View] = {}
+            live = names & set(kinds)
             for c in loop:
-                live = names & set(kinds)
                 if any(p in names and p not in kinds for p, pos in uses(c.body) if pos):
                     continue
                 if strategy == "naive":
@@ -382,30 +381,61 @@ class Reasoner:
                     variants = []
                     for k in range(positive_uses(c.body, live)):
                         body = _replace(c.body, k, "Δ", live, [0])
-                        used = next(p[1:] for p, _ in uses(body) if p.startswith("Δ"))
-                        if used in delta:
+                        if next(p[1:] for p, _ in uses(body) if p.startswith("Δ")) in deltas:
                             variants.append(Clause(c.name, c.head, body))
-                for p, v in self._gather(variants, now).items():
+                for p, v in self._gather(variants, now.with_views({"Δ" + p: x for p, x in deltas.items()})).items():
+                    if p in kinds and not (kinds[p][0].meets(v.s) and kinds[p][1].meets(v.o)):
+                        raise TypeError(f"{p} is derived with different kinds")
                     found[p] = v if p not in found else View(found[p].df.unionByName(v.df), v.s, v.o)
+            return {p: View(self._once(v), v.s, v.o) for p, v in found.items()}
+
+        found_rows: dict[str, int] = {}
+        began = time.perf_counter()
+        for p, v in first.items():
+            n = start(p, v, 0)
+            rounds.append(Round(stratum, 0, p, n, time.perf_counter() - began))
+        number, hops = 0, 1
+        while True:
+            if number >= self.max_rounds:
+                raise DepthExceeded(f"no end after {self.max_rounds} rounds")
+            few = linear and number > 0 and set(kinds) == names and sum(found_rows.values()) <= self.hop_rows
+            hops = min(2 * hops, self.max_hops, self.max_rounds - number) if few else 1
+            number += hops
+            began = time.perf_counter()
+            now, deltas = graph.with_views({p: known(p) for p in kinds}), dict(delta)
+            found: dict[str, list[View]] = {}
+            for _ in range(hops):
+                deltas = step(now, deltas)
+                for p, v in deltas.items():
+                    found.setdefault(p, []).append(v)
+            last = deltas if hops > 1 else {}
             delta.clear()
+            found_rows.clear()
             total = 0
-            for p, v in found.items():
+            for p, views in found.items():
                 if p in kinds:
-                    if not (kinds[p][0].meets(v.s) and kinds[p][1].meets(v.o)):
-                        raise TypeError(f"{p} is derived with different kinds")
-                    new = v.df.select("s", "o").distinct().join(known(p).df, ["s", "o"], "left_anti")
-                    n = write(p, number, new)
+                    if hops == 1:
+                        df = views[0].df
+                    else:
+                        marked = [v.df.select("s", "o", F.lit(v is last.get(p)).alias("last")) for v in views]
+                        df = marked[0]
+                        for x in marked[1:]:
+                            df = df.unionByName(x)
+                        df = df.groupBy("s", "o").agg(F.max("last").alias("last"))
+                    n = write(p, number, df.join(known(p).df, ["s", "o"], "left_anti"), hops)
                 else:
-                    n = start(p, v, number)
+                    n = start(p, views[0], number)
                 rounds.append(Round(stratum, number, p, n, time.perf_counter() - began))
-                if n == 0:
-                    delta.pop(p, None)
                 total += n
-            if total == 0:
+            if not delta:
                 break
             if self.row_budget is not None and sum(r.kept for r in rounds) > self.row_budget:
                 raise DepthExceeded(f"more than {self.row_budget} derived rows")
         out = {p: known(p) for p in kinds}
+        if self.explaining:
+            number = F.regexp_extract(F.input_file_name(), r"round=(\d+)/", 1).cast("int")
+            for p in kinds:
+                self.origins[p] = spark.read.schema(StructType([*schema[p].fields]).add("rule", "string")).parquet(*filled[p]).withColumn("round", number)
         for p in pending:
             if p not in out:
                 out[p] = View(spark.createDataFrame([], "s bigint, o bigint"), TERM, TERM)
@@ -420,6 +450,8 @@ class Reasoner:
             body = unfold(A.BGP((goal,)), clauses, set(self.graph.predicates()))
             df = self._goal_rows(goal, Compiler(self.graph).run(A.rewrite(body)))
             return df, Result(self.graph, {})
+        if strategy == "demand" and (direct := self.linear_goal(goal, clauses)):
+            return direct
         answer, program = demand(goal, clauses, set(self.graph.predicates()))
         if strategy == "tabled":
             result = self._tabled(program)
@@ -429,6 +461,64 @@ class Reasoner:
         sol = comp.run(A.BGP((Triple(goal.s, Iri(answer), goal.o),)))
         return self._goal_rows(goal, sol), result
 
+    def linear_goal(self, goal: Triple, clauses: list[Clause]) -> tuple[DataFrame, Result] | None:
+        """A goal with a bound end over a lone linear rule: p(x, z) from p(x, y), e(y, z), or from e(x, y), p(y, z).
+
+        All that is demanded for the goal is demanded for the goal alone, so answers need not be
+        handed back step by step. Where the bound end is the one that the rule moves, a frontier
+        from it over e gives the values whose facts are answers; where it is the other end, its
+        own facts start the frontier, and what that reaches are the answers.
+        """
+        p = goal.p.value if isinstance(goal.p, Iri) else None
+        at_o = isinstance(goal.s, Var)
+        if at_o == isinstance(goal.o, Var) or isinstance(goal.s, Blank) or isinstance(goal.o, Blank):
+            return None
+        mine, derived = [c for c in clauses if c.head.p.value == p], {c.head.p.value for c in clauses}
+        step = [c for c in mine if any(x == p for x, _ in uses(c.body))]
+        rest = [c for c in mine if c not in step]
+        if len(step) != 1 or any(x in derived or x == "*" for c in rest for x, _ in uses(c.body)):
+            return None
+        c = step[0]
+        if not isinstance(c.body, A.BGP) or len(c.body.triples) != 2 or any(not isinstance(t.p, Iri) for t in c.body.triples):
+            return None
+        own = next((t for t in c.body.triples if t.p.value == p), None)
+        edge = next((t for t in c.body.triples if t.p.value != p), None)
+        if own is None or edge is None or edge.p.value in derived or edge.p.value not in self.graph.predicates():
+            return None
+        s, o = c.head.s, c.head.o
+        left = own.s == s and own.o == edge.s and edge.o == o
+        right = own.o == o and own.s == edge.o and edge.s == s
+        if not (left or right) or len({s, o, own.o if left else own.s}) != 3 or not all(isinstance(x, Var) for x in (s, o, own.s, own.o)):
+            return None
+        facts = self._gather(rest, self.graph).get(p)
+        if p in self.graph.predicates():
+            base = self.graph.view(p)
+            facts = base if facts is None else View(facts.df.select("s", "o").unionByName(base.df.select("s", "o")), base.s, base.o)
+        view = self.graph.view(edge.p.value)
+        if facts is None or not (facts.o if left else facts.s).meets(view.s if left else view.o) or not view.s.meets(view.o):
+            return None
+        began = time.perf_counter()
+        bound, kind = (goal.o, facts.o) if at_o else (goal.s, facts.s)
+        const = self.graph.constant(bound, kind)
+        if const is None:
+            return None
+        edges = view.df.select("s", "o") if not at_o else view.df.select(F.col("o").alias("s"), F.col("s").alias("o"))
+        moved, fixed = ("o", "s") if left else ("s", "o")
+        if left == at_o:
+            # the frontier starts at the bound value itself
+            begin = self.spark.range(1).select(const.alias("x"))
+            reached = begin.unionByName(paths.reachable(edges, begin, hops=self.max_hops, max_rounds=self.max_rounds)).distinct()
+            answers = facts.df.join(reached, F.col(moved) == F.col("x"), "left_semi").select(F.col(fixed).alias("y"))
+        else:
+            begin = cut(facts.df.where(F.col(fixed) == const).select(F.col(moved).alias("x")).distinct())
+            reached = paths.reachable(edges, begin, hops=self.max_hops, max_rounds=self.max_rounds)
+            answers = begin.unionByName(reached).select(F.col("x").alias("y"))
+        answers = cut(answers.distinct())
+        out = answers.select(F.col("y").alias((goal.s if at_o else goal.o).name))
+        rounds = [Round(0, 0, f"demand:{p}", reached.count(), time.perf_counter() - began), Round(0, 1, p, answers.count(), time.perf_counter() - began)]
+        kept = answers.select(F.col("y").alias("s"), const.alias("o")) if at_o else answers.select(const.alias("s"), F.col("y").alias("o"))
+        return out, Result(self.graph.with_views({p: View(kept, facts.s, facts.o)}), {p: View(kept, facts.s, facts.o)}, rounds)
+
     def _goal_rows(self, goal: Triple, sol: Solutions) -> DataFrame:
         names = [x.name for x in (goal.s, goal.o) if isinstance(x, Var)]
         return sol.df.select(*[q(n) for n in dict.fromkeys(names)]).distinct() if names else sol.df.limit(1)
@@ -454,6 +544,8 @@ class Reasoner:
             if total == before:
                 break
             before = total
+        else:
+            raise DepthExceeded(f"no end after {self.max_rounds} rounds")
         last = {r.predicate: r for r in rounds}
         return Result(self.graph.with_views(tables), tables, list(last.values()))
 

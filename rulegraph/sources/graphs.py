@@ -183,6 +183,41 @@ def read_ntriples(spark: SparkSession, path: str) -> TripleGraph:
     return TripleGraph(line.select(*[F.regexp_extract("value", _NT, i + 1).alias(n) for i, n in enumerate("spo")]))
 
 
+#: Behind a separator, as many quotes as close one another.
+_OUTSIDE = r'(?=(?:[^"]*"[^"]*")*[^"]*$)'
+
+
+def read_turtle(spark: SparkSession, path: str) -> TripleGraph:
+    """A subset of Turtle: @prefix lines, ``a``, lists with ``;`` and ``,``, numbers and booleans; a statement ends with " ." at a line's end.
+
+    Prefixes are read first (a file has few); statements go through column expressions alone.
+    Nested blank nodes, collections, long strings and escaped quotes are not covered.
+    """
+    text = spark.read.option("lineSep", " .\n").text(path).select(F.trim(F.regexp_replace(F.regexp_replace("value", r"(?m)^\s*#.*$", ""), r"\s+", " ")).alias("value"))
+    text = text.select(F.regexp_replace("value", r"\s*\.$", "").alias("value"))
+    prefix = r"^@prefix\s+([^:\s]*):\s+<([^>]*)>"
+    names = {r[0]: r[1] for r in text.where(F.col("value").rlike(prefix)).select(F.regexp_extract("value", prefix, 1), F.regexp_extract("value", prefix, 2)).collect()}
+    iris = F.create_map(*[F.lit(x) for kv in names.items() for x in kv]) if names else F.create_map(F.lit(""), F.lit(""))
+
+    def term(c: Column) -> Column:
+        short = F.regexp_extract(c, r"^([^:\s\"<]*):(.*)$", 1)
+        return (
+            F.when(c == "a", F.lit("<a>"))
+            .when(c.rlike(r"^[+-]?\d+$"), F.concat(F.lit('"'), c, F.lit('"^^integer')))
+            .when(c.rlike(r"^[+-]?\d*\.\d+$"), F.concat(F.lit('"'), c, F.lit('"^^decimal')))
+            .when(c.isin("true", "false"), F.concat(F.lit('"'), c, F.lit('"^^boolean')))
+            .when(c.startswith("<") | c.startswith('"') | c.startswith("_:"), c)
+            .otherwise(F.concat(F.lit("<"), F.element_at(iris, short), F.regexp_extract(c, r"^[^:\s]*:(.*)$", 1), F.lit(">")))
+        )
+
+    first = r"^(\S+)\s+(.*)$"
+    lines = text.where((F.col("value") != "") & ~F.col("value").startswith("@"))
+    lines = lines.select(F.regexp_extract("value", first, 1).alias("s"), F.regexp_extract("value", first, 2).alias("rest"))
+    lines = lines.select("s", F.explode(F.split("rest", r"\s*;\s*" + _OUTSIDE)).alias("part")).where("part != ''")
+    lines = lines.select("s", F.regexp_extract("part", first, 1).alias("p"), F.explode(F.split(F.regexp_extract("part", first, 2), r"\s*,\s*" + _OUTSIDE)).alias("o"))
+    return TripleGraph(lines.select(*[term(F.trim(F.col(c))).alias(c) for c in "spo"]).where("s is not null and p is not null and o is not null"))
+
+
 def write_ntriples(graph: Graph, path: str) -> None:
     graph.all_triples().select(F.concat_ws(" ", "s", "p", "o", F.lit(".")).alias("value")).write.mode("overwrite").text(path)
 

@@ -147,7 +147,7 @@ def bacon_depth(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Least number of steps from the root: the round in which semi-naive evaluation first finds a person."""
     w = WORKLOADS["bacon_any"]
     root = bacon_root(spark, sf_dir)
-    result = Engine(spark).mapped_graph(sf_dir).forward(w.rules(spark, sf_dir), small_rows=0)
+    result = Engine(spark).mapped_graph(sf_dir).forward(w.rules(spark, sf_dir), max_hops=1)
     rows = result.derived["ex:bacon"].df
     number = F.regexp_extract(F.input_file_name(), r"round=(\d+)/", 1).cast("bigint") + 1
     return rows.select(F.col("s").alias("person"), number.alias("depth")).where(F.col("person") != root)
