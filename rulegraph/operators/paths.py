@@ -45,38 +45,79 @@ HOP_ROWS = 100_000
 def reachable(edges: DataFrame, start: DataFrame, max_rounds: int = 1000, hops: int = 8) -> DataFrame:
     """(x,) reached from start's x by one or more edges: a frontier that never visits twice.
 
-    While it is small, one job takes it two, four, up to ``hops`` steps on; what it
-    meets again on the way is dropped as it is written, and the next job
-    starts from what the last step found.
+    While it is small, one job takes it two, four, up to ``hops`` steps on: rows keep the
+    number of steps they took, and each step hands on what it came from along with
+    what it found, so the plan is one chain of joins. Those that took all steps are
+    where the next job starts.
     """
     edges = cut(edges.select("s", "o").distinct())
     spark = edges.sparkSession
     path = new_path(spark, "reach")
-    frontier, folders, rounds, many = start.select("x").distinct(), [], 0, 1
+    frontier, folders, rounds, many = start.select("x", F.lit(0).alias("d")).distinct(), [], 0, 1
     rows = None
     while True:
         if rounds >= max_rounds:
             raise RuntimeError(f"no end after {max_rounds} rounds")
         many = min(2 * many, hops, max_rounds - rounds) if rows is not None and rows <= HOP_ROWS else 1
-        found = None
+        found = frontier
         for k in range(many):
-            frontier = frontier.join(edges, F.col("x") == F.col("s")).select(F.col("o").alias("x")).distinct()
-            marked = frontier.select("x", F.lit(k == many - 1).alias("last"))
-            found = marked if found is None else found.unionByName(marked)
-        if many > 1:
-            found = found.groupBy("x").agg(F.max("last").alias("last"))
+            # d = 0 are the starting points themselves, which count only if an edge leads to them
+            step = F.array(F.struct("x", "d"), F.struct(F.col("o").alias("x"), (F.col("d") + 1).alias("d")))
+            ahead = F.col("d") == k
+            found = found.join(edges, (F.col("x") == F.col("s")) & ahead, "left").select(F.explode(step).alias("r")).select("r.x", "r.d").where("x is not null")
+            found = found.groupBy("x", (F.col("d") == 0).alias("first")).agg(F.min("d").alias("d")).select("x", "d")
+        found = found.where("d > 0")
         if folders:
             found = found.join(spark.read.schema(schema).parquet(*folders).select("x"), "x", "left_anti")
         schema = found.schema
         folders.append(f"{path}/round={rounds}")
         found.write.parquet(folders[-1])
         rounds += many
-        frontier = spark.read.schema(schema).parquet(folders[-1]).where("last").select("x")
+        frontier = spark.read.schema(schema).parquet(folders[-1]).where(F.col("d") == many).select("x", F.lit(0).alias("d"))
         rows = frontier.count()
         if rows == 0:
             break
     drop_cut(edges)
-    return spark.read.schema(schema).parquet(*folders).select("x")
+    return spark.read.schema(schema).parquet(*folders).select("x").distinct()
+
+
+def reachable_by_doubling(edges: DataFrame, start: DataFrame, max_rounds: int = 60) -> DataFrame:
+    """The same where one end of an edge determines the other: steps of 1, 2, 4 and so on, each made of the one before.
+
+    Such a relation's powers never have more rows than itself, so the rounds are as many
+    as the logarithm of the longest path, and each is two joins. Whatever is farther
+    than the nodes found so far has a node at each distance before it, so a
+    round that finds nothing new is the last.
+    """
+    leap = cut(edges.select("s", "o").distinct())
+    spark = edges.sparkSession
+    path = new_path(spark, "leap")
+    begin, folders = start.select("x").distinct(), []
+    for r in range(max_rounds):
+        seen = spark.read.schema(schema).parquet(*folders) if folders else None
+        at = begin if seen is None else begin.unionByName(seen)
+        found = at.join(leap, F.col("x") == F.col("s")).select(F.col("o").alias("x")).distinct()
+        if seen is not None:
+            found = found.join(seen, "x", "left_anti")
+        schema = found.schema
+        folders.append(f"{path}/round={r}")
+        found.write.parquet(folders[-1])
+        if spark.read.schema(schema).parquet(folders[-1]).limit(1).count() == 0:
+            break
+        last, leap = leap, cut(leap.alias("a").join(leap.alias("b"), F.col("a.o") == F.col("b.s")).select(F.col("a.s").alias("s"), F.col("b.o").alias("o")))
+        drop_cut(last)
+    else:
+        raise RuntimeError(f"no end after {max_rounds} rounds")
+    drop_cut(leap)
+    return spark.read.schema(schema).parquet(*folders)
+
+
+def one_ended(edges: DataFrame) -> bool:
+    """Whether one end of each edge determines the other."""
+    for end, other in (("s", "o"), ("o", "s")):
+        if not edges.groupBy(end).agg(F.min(other).alias("a"), F.max(other).alias("z")).where("a != z").limit(1).count():
+            return True
+    return False
 
 
 def path_view(graph: Graph, p: A.Path, s: object = None, o: object = None) -> View:

@@ -199,7 +199,7 @@ class Result:
 
 
 class Reasoner:
-    def __init__(self, graph: Graph, *, max_hops: int = 8, hop_rows: int = 100_000, max_rounds: int = 500, max_skolem_depth: int = 8, row_budget: int | None = None, on_cycle: str = "error", explain_derivations: bool = False):
+    def __init__(self, graph: Graph, *, max_hops: int = 1, hop_rows: int = 100_000, max_rounds: int = 500, max_skolem_depth: int = 8, row_budget: int | None = None, on_cycle: str = "error", explain_derivations: bool = False):
         self.graph, self.spark = graph, graph.spark
         #: Whether to keep the rule and the round of each pair; rounds are then run one by one.
         self.explaining, self.origins = explain_derivations, {}
@@ -504,14 +504,16 @@ class Reasoner:
             return None
         edges = view.df.select("s", "o") if not at_o else view.df.select(F.col("o").alias("s"), F.col("s").alias("o"))
         moved, fixed = ("o", "s") if left else ("s", "o")
+        fast = view.functional or paths.one_ended(view.df)
+        reach = (lambda begin: paths.reachable_by_doubling(edges, begin)) if fast else (lambda begin: paths.reachable(edges, begin, max_rounds=self.max_rounds))
         if left == at_o:
             # the frontier starts at the bound value itself
             begin = self.spark.range(1).select(const.alias("x"))
-            reached = begin.unionByName(paths.reachable(edges, begin, hops=self.max_hops, max_rounds=self.max_rounds)).distinct()
+            reached = begin.unionByName(reach(begin)).distinct()
             answers = facts.df.join(reached, F.col(moved) == F.col("x"), "left_semi").select(F.col(fixed).alias("y"))
         else:
             begin = cut(facts.df.where(F.col(fixed) == const).select(F.col(moved).alias("x")).distinct())
-            reached = paths.reachable(edges, begin, hops=self.max_hops, max_rounds=self.max_rounds)
+            reached = reach(begin)
             answers = begin.unionByName(reached).select(F.col("x").alias("y"))
         answers = cut(answers.distinct())
         out = answers.select(F.col("y").alias((goal.s if at_o else goal.o).name))

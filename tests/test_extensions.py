@@ -32,14 +32,14 @@ def test_chained_rounds_find_what_single_ones_do(spark, rules):
     for hops, rows in ((8, 100_000), (3, 100_000), (8, 0)):
         got = e.forward(rules, max_hops=hops, hop_rows=rows)
         assert pairs(got.view("t")) == want and got.derived_count() == len(want)
-    assert len(e.forward(rules).rounds) < len(one.rounds)
+    assert len(e.forward(rules, max_hops=8).rounds) < len(one.rounds)
 
 
 def test_chained_rounds_of_rules_that_need_each_other(spark):
     rules = ["CONSTRUCT { ?x :odd ?y } WHERE { ?x :e ?y }", "CONSTRUCT { ?x :even ?z } WHERE { ?x :odd ?y . ?y :e ?z }", "CONSTRUCT { ?x :odd ?z } WHERE { ?x :even ?y . ?y :e ?z }"]
     e = engine(spark, MAZE)
     for p in ("odd", "even"):
-        assert pairs(e.forward(rules).view(p)) == pairs(e.forward(rules, "naive").view(p))
+        assert pairs(e.forward(rules, max_hops=8).view(p)) == pairs(e.forward(rules, "naive").view(p))
 
 
 @pytest.mark.parametrize("rules", [LEFT, RIGHT])
@@ -70,6 +70,14 @@ def test_reachable_takes_several_steps_in_a_job(spark, monkeypatch):
         assert {r["x"] for r in paths.reachable(edges, start, hops=hops).collect()} == set(range(4, n + 1))
     with pytest.raises(RuntimeError):
         paths.reachable(edges, start, max_rounds=3)
+    assert not paths.one_ended(edges)
+    tree = edges.where("not (s = 7 and o = 30)")
+    ring = [(i, (i + 1) % 13) for i in range(13)]
+    for rows, begin in ((ring, [4]), ([(i // 2, i) for i in range(2, 60)], [3]), ([(i, i // 2) for i in range(2, 60)], [37, 41]), ([], [1])):
+        e, b = spark.createDataFrame(rows, "s bigint, o bigint"), spark.createDataFrame([(x,) for x in begin], "x bigint")
+        assert paths.one_ended(e)
+        assert pairs(paths.reachable_by_doubling(e, b)) == pairs(paths.reachable(e, b))
+    assert paths.one_ended(tree) and pairs(paths.reachable_by_doubling(tree, start)) == pairs(paths.reachable(tree, start))
 
 
 def test_derivations_name_rule_and_round(spark):
