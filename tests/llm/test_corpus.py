@@ -8,14 +8,17 @@ import re
 import zlib
 from collections import Counter
 
+import duckdb
 import numpy as np
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
 import corpus_pipeline
-from rulegraph.llm import attention, language_model, media, suffix_dedup
+from rulegraph.llm import attention, language_id, language_model, media, mixing, suffix_dedup
 from rulegraph.llm.common import crc_mod, ensure_checkpoint_dir, words_of
 from rulegraph.llm.queries import TOKENIZER
 from tests.llm.data import docs, empty
+from tests.llm.test_documents import brute_fingerprint, brute_vector, levenshtein
 
 
 def brute_repeats(texts, length):
@@ -278,20 +281,90 @@ def test_broken_member_is_reported_and_the_others_are_read(spark):
     assert {r["member"] for r in small.collect()} == {r["member"] for r in rows}
 
 
+def brute_languages(rows):
+    """(language, cosine) of each text by prototypes that are sums of all labelled texts' vectors."""
+    vectors = [brute_vector(r["text"] or "", 1024, 7) for r in rows]
+    sums = {}
+    for r, v in zip(rows, vectors, strict=True):
+        if r["lang"] is not None and r["text"] is not None:
+            sums[r["lang"]] = sums.get(r["lang"], 0) + v
+    out = []
+    for r, v in zip(rows, vectors, strict=True):
+        if not any(map(str.isalpha, r["text"] or "")):
+            out.append(("und", 0.0))
+            continue
+        cos = {k: float(v @ p / np.linalg.norm(v) / np.linalg.norm(p)) for k, p in sums.items()}
+        best = max(sorted(cos), key=cos.get)
+        out.append((best, max(0.0, cos[best])))
+    return out
+
+
+def brute_line_dedup(rows):
+    """Texts without lines that an earlier row or line has, or one within an edit of 24 characters or more."""
+    order = sorted(range(len(rows)), key=lambda i: (rows[i]["doc_id"] is not None, rows[i]["doc_id"] or 0, rows[i]["th"], i))
+    first, lines = {}, {}
+    for rank, i in enumerate(order):
+        for no, line in enumerate((rows[i]["text"] or "").split("\n")):
+            x = line.strip().lower()
+            if x:
+                first.setdefault(x, (rank, no))
+                lines[i, no] = (x, (rank, no))
+    long = sorted((x for x in first if len(x) >= 24), key=len)
+    near = {x for x in long for y in long if x != y and first[y] < first[x] and abs(len(x) - len(y)) <= 1 and levenshtein(x, y) <= 1}
+    keep = lambda i, no: (i, no) not in lines or (first[lines[i, no][0]] == lines[i, no][1] and lines[i, no][0] not in near)
+    return ["\n".join(x for no, x in enumerate((r["text"] or "").split("\n")) if keep(i, no)) for i, r in enumerate(rows)]
+
+
+def test_predictions_equal_brute_force(spark):
+    rows = docs(spark).collect()
+    got = language_id.identify_language(docs(spark).coalesce(1), held_out=F.lit(False), keep=["doc_id", "text"]).collect()
+    want = brute_languages(rows)
+    assert Counter((str(r["doc_id"]), r["text"], r["lang_pred"], round(r["score"], 6)) for r in got) == Counter((str(r["doc_id"]), r["text"], k, round(s, 6)) for r, (k, s) in zip(rows, want, strict=True))
+
+
 def test_pipeline_stages_by_brute_force(spark):
     d = docs(spark)
-    for name, stage in corpus_pipeline.STAGES[:-1]:
-        before = d
-        d = spark.createDataFrame(stage(spark, before, "").collect(), "doc_id bigint, text string, lang string, source string, n_chars bigint")
-        ids = {r["doc_id"] for r in before.collect()}
-        assert {r["doc_id"] for r in d.collect()} <= ids, name
-        if name == "language_id":
-            assert {2, 3, 4, 5}.isdisjoint({r["doc_id"] for r in d.collect()}) and 0 in {r["doc_id"] for r in d.collect()}
-        if name == "line_dedup":
-            assert all(r["n_chars"] == len(r["text"]) and r["text"].strip() for r in d.collect())
-            assert 7 not in {r["doc_id"] for r in d.collect()}
-    packed = corpus_pipeline.STAGES[-1][1](spark, d, "")
-    assert {r["doc_id"] for r in packed.collect()} == {r["doc_id"] for r in d.collect()}
+    stages = dict(corpus_pipeline.STAGES)
+    key = lambda r: (str(r["doc_id"]), r["text"], r["lang"], r["source"], r["n_chars"])
+    run = lambda name, x: spark.createDataFrame(stages[name](spark, x, "").collect(), "doc_id bigint, text string, lang string, source string, n_chars bigint")
+
+    before, d = d.collect(), run("language_id", d)
+    want = [r for r, (k, s) in zip(before, brute_languages(before), strict=True) if k != "und" and round(s, 9) >= corpus_pipeline.MIN_SCORE]
+    assert Counter(map(key, d.collect())) == Counter(map(key, want))
+
+    before, d = [r.asDict() for r in d.withColumn("th", F.xxhash64("text")).collect()], run("line_dedup", d)
+    want = [r | {"text": t, "n_chars": len(t)} for r, t in zip(before, brute_line_dedup(before), strict=True) if t.split()]
+    assert Counter(map(key, d.collect())) == Counter(map(key, want)) and len(want) < len(before)
+
+    before, d = d.collect(), run("simhash_near_dedup", d)
+    fps, groups = [brute_fingerprint(r["text"]) for r in before], []
+    for i, f in enumerate(fps):
+        linked = [g for g in groups if any(bin(f ^ fps[j]).count("1") <= 3 for j in g)]
+        groups = [g for g in groups if g not in linked] + [[i, *(j for g in linked for j in g)]]
+    kept = d.collect()
+    assert len(kept) == len(groups)
+    for g in groups:
+        best = min((before[j]["doc_id"] is None, before[j]["doc_id"] or 0) for j in g)
+        assert sum(key(r) in [key(before[j]) for j in g if (before[j]["doc_id"] is None, before[j]["doc_id"] or 0) == best] for r in kept) == 1
+
+    before, d = d, run("mixing", d)
+    con = duckdb.connect()
+    con.register("documents", before.toArrow())
+    sampled = {str(r[0]) for r in con.execute(f"select doc_id from ({mixing.mixing_sql()}) where sampled").fetchall()}
+    assert Counter(map(key, d.collect())) == Counter(key(r) for r in before.collect() if str(r["doc_id"]) in sampled)
+
+    tok = Tokenizer.from_file(TOKENIZER)
+    want = Counter()
+    for r in d.collect():
+        ids = np.array([*tok.encode(r["text"] or "", add_special_tokens=False).ids, 1], "<u4")
+        for s in range(0, len(ids), 2048):
+            want[(str(r["doc_id"]), s, zlib.crc32(ids[s : s + 2048].tobytes()))] += 1
+    packed = stages["packing"](spark, d, "").collect()
+    assert Counter((str(r["doc_id"]), r["start"], r["ids_crc32"]) for r in packed) == want
+    ends = Counter()
+    for r in packed:
+        ends[r["sequence_id"]] += r["length"]
+    assert max(ends.values()) <= 2048
     none = empty(spark)
     for _, stage in corpus_pipeline.STAGES:
         assert stage(spark, none, "").count() == 0

@@ -1,5 +1,6 @@
 """Language id, simhash, line dedup, quality, mixing and packing against plain Python and DuckDB."""
 
+import functools
 import math
 import time
 import zlib
@@ -30,11 +31,16 @@ def duck(df, sql, cols):
 # ---------------------------------------------------------------- language
 
 
+@functools.cache
+def letter_vector(c, dims, seed):
+    return np.random.default_rng([seed, ord(c)]).integers(0, 2, dims, dtype=np.int8).astype(float) * 2 - 1
+
+
 def brute_vector(text, dims, seed):
     marks = " ".join("".join(c if c.isalpha() else " " for c in text.lower()).split())
     marks = f" {marks} " if marks else " "
     v = np.zeros(dims)
-    letter = lambda c: np.random.default_rng([seed, ord(c)]).integers(0, 2, dims, dtype=np.int8).astype(float) * 2 - 1
+    letter = lambda c: letter_vector(c, dims, seed)
     for a, b, c in zip(marks, marks[1:], marks[2:], strict=False):
         v += np.roll(letter(a), 2) * np.roll(letter(b), 1) * letter(c)
     return v
