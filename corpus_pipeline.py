@@ -59,7 +59,7 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-#: Cosines of random vectors and tokenizers are beyond SQL: tests compare with a brute-force version.
+#: Cosines of random vectors and tokenizers are beyond SQL: tests compare every stage with a brute-force version.
 ORACLE_SQL = None
 
 
